@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -20,7 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
     fs = hpath.getFileSystem(spark._jsc.hadoopConfiguration())
     fs.mkdirs(hpath)
     fs.deleteOnExit(hpath)
-    return path
+    full = fs.makeQualified(hpath).toString()
+    return re.sub("^file:/+", "file:///", full)
 
 
 def remove(spark: SparkSession, path: str) -> None:
