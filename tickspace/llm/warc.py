@@ -272,7 +272,7 @@ class WarcWriter(DataSourceWriter):
                 if out is not None:
                     out.close()
                 files.append(f"part-{uuid.uuid4().hex}.warc.gz")
-                out, held = store.open_output_stream(f"{root}/{files[-1]}"), 0
+                out, held = store.open_output_stream(f"{root}/{files[-1]}", compression=None), 0
             member = gzip_member(encode_record(row), self.level)
             out.write(member)
             held += len(member)
