@@ -103,22 +103,55 @@ def _prefix(size: np.ndarray, num: int, den: int) -> np.ndarray:
     return np.where(size > 0, size - (num * size + den - 1) // den + 1, 0)
 
 
+def _odd(tokens: np.ndarray) -> bytes:
+    """Parities of the set's hashes in as many slots as it has tokens, about."""
+    m = max(64, 1 << int(len(tokens)).bit_length())
+    return np.packbits((np.bincount((tokens & U(m - 1)).astype(np.int64), minlength=m) & 1).astype(bool), bitorder="little").tobytes()
+
+
+def differing(a: bytes, b: bytes) -> int:
+    """A lower bound of the number of tokens that only one of two sets has:
+    slots of unlike parity, the larger sketch being folded onto the smaller."""
+    x, y, m, n = int.from_bytes(a, "little"), int.from_bytes(b, "little"), len(a), len(b)
+    if m < n:
+        x, y, m, n = y, x, n, m
+    while m > n:
+        m //= 2
+        x = (x >> 8 * m) ^ (x & ((1 << 8 * m) - 1))
+    return (x ^ y).bit_count()
+
+
+def _close(num: int, den: int):
+    """Pairs that the parity sketches do not rule out."""
+
+    def run(batches):
+        for batch in batches:
+            u, v = np.asarray(batch.column(0)), np.asarray(batch.column(1))
+            ok = np.zeros(len(u), bool)
+            for i, (n, a, m, b) in enumerate(zip(*(batch.column(j).to_pylist() for j in range(2, 6)))):
+                ok[i] = differing(a, b) <= n + m - 2 * (-(-num * (n + m) // (num + den)))
+            yield pa.RecordBatch.from_arrays([pa.array(u[ok]), pa.array(v[ok])], ["u", "v"])
+
+    return run
+
+
 def _scan(k: int):
     def run(batches):
         sketch = np.zeros(1 << SLOT_BITS, np.int64)
         for batch in batches:
-            ids, keys, sizes = batch.column(0), [], []
+            ids, keys, sizes, odd = batch.column(0), [], [], []
             for _, off, token in doc_sets(batch.column(1), k, None):
                 sketch += np.bincount((token >> U(56 - SLOT_BITS)).astype(np.int64), minlength=len(sketch))
                 keys.append(_keys(off, token))
                 sizes.append(np.diff(off))
+                odd += [_odd(token[a:b]) if b > a else None for a, b in zip(off[:-1], off[1:])]
             n = len(ids)
             if n:
-                yield pa.RecordBatch.from_arrays([ids, pa.array(np.concatenate(keys)), pa.array(np.concatenate(sizes).astype(np.int64)), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], ["doc_id", "key", "n", "piece", "counts"])
+                yield pa.RecordBatch.from_arrays([ids, pa.array(np.concatenate(keys)), pa.array(np.concatenate(sizes).astype(np.int64)), pa.array(odd, pa.binary()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], ["doc_id", "key", "n", "odd", "piece", "counts"])
         pieces = [zlib.compress(sketch[i : i + _PIECE].astype(np.uint32).tobytes(), 1) for i in range(0, len(sketch), _PIECE)] if sketch.any() else []
         if pieces:
             m = len(pieces)
-            yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64()), pa.array(range(m), pa.int32()), pa.array(pieces, pa.binary())], ["doc_id", "key", "n", "piece", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.binary()), pa.array(range(m), pa.int32()), pa.array(pieces, pa.binary())], ["doc_id", "key", "n", "odd", "piece", "counts"])
 
     return run
 
@@ -213,8 +246,9 @@ class _Join:
         self.docs, self.k, self.num, self.den = docs, k, num, den
         self.spark = docs.sparkSession
         self.base = shared_dir(self.spark)
-        scan = materialise(docs.select("doc_id", "text").mapInArrow(_scan(k), "doc_id bigint, key bigint, n bigint, piece int, counts binary"), "scan", self.base)
+        scan = materialise(docs.select("doc_id", "text").mapInArrow(_scan(k), "doc_id bigint, key bigint, n bigint, odd binary, piece int, counts binary"), "scan", self.base)
         self.members = scan.where("piece is null").select("doc_id", "key", "n")
+        self.odd = scan.where("piece is null and n > 0").select("key", "n", "odd")
         self.level = self.spark.sparkContext.broadcast(_level(_sketch(scan)))
 
     def possible(self, a: str, b: str):
@@ -226,10 +260,18 @@ class _Join:
     def links(self, pairs: DataFrame, name: str) -> DataFrame:
         """Those pairs (u, v) of class keys whose sets are similar enough."""
         pairs = materialise(pairs, f"{name}_pairs", self.base)
+        if pairs.isEmpty():
+            return pairs
+        ends = pairs.select(F.explode(F.array("u", "v")).alias("key")).distinct()
+        odd = materialise(self.odd.join(ends, "key").dropDuplicates(["key"]), f"{name}_odd", self.base)
+        left, right = (odd.select(F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}")) for x in "uv")
+        near = pairs.join(right, "v").join(left, "u").select("u", "v", "nu", "ou", "nv", "ov")
+        pairs = materialise(near.mapInArrow(_close(self.num, self.den), "u bigint, v bigint"), f"{name}_near", self.base)
         if pairs.isEmpty():
             return pairs
         want = pairs.select(F.col("u").alias("key")).unionByName(pairs.select(F.col("v").alias("key"))).distinct()
-        one = self.members.groupBy("key").agg(F.min("doc_id").alias("doc_id")).join(want, "key").select("doc_id", "key")
+        # written, so that its true size decides on how the texts are joined
+        one = materialise(self.members.join(want, "key").groupBy("key").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "key").coalesce(8), f"{name}_texts", self.base)
         sets = materialise(
             self.docs.select("doc_id", "text").join(one, self.docs["doc_id"].eqNullSafe(one["doc_id"])).select("text", "key").mapInArrow(_full_sets(self.k, self.num, self.den, self.level), "key bigint, full binary, p2 binary, p3 binary").dropDuplicates(["key"]),
             f"{name}_sets",
