@@ -17,6 +17,10 @@ def strip(value: Column, splits: list[int]) -> Column:
     return out
 
 
+def _cross(parts: Column, more: Column, step: int) -> Column:
+    return F.flatten(F.transform(parts, lambda p: F.transform(more, lambda q: p * step + q)))
+
+
 @dataclass(frozen=True)
 class GridMap:
     """Rectilinear partitions: sorted splits per axis (a bounded literal)."""
@@ -45,8 +49,7 @@ class GridMap:
                 some = F.sequence(strip(F.col(axis) - hi, list(s)), strip(F.col(axis) - lo, list(s)))
             else:
                 some = F.sequence(F.lit(0), F.lit(len(s)))
-            step = len(s) + 1
-            out = F.flatten(F.transform(out, lambda p, some=some, step=step: F.transform(some, lambda q: p * step + q)))
+            out = _cross(out, some, len(s) + 1)
         return out
 
 
