@@ -13,7 +13,9 @@ Plan
 3. Star round: in each bucket (one prefix shingle) every class is compared only
    with the bucket's most central class: rows, not pairs.
 4. Remaining round: pairs of one bucket whose classes the links so far have NOT
-   put into one component.  Within a component no further comparison can change
+   put into one component; in large buckets only those that also share enough of
+   their differences from the bucket's head (a group of near copies that are not
+   quite similar enough would else be compared pair by pair).  Within a component no further comparison can change
    the result, so a group of thousands of near copies costs a row per copy, and
    no link between different components is lost.
 5. Components over all links; every text gets its smallest reachable doc_id.
@@ -37,9 +39,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import materialise, shared_dir
+from .shared import bounded, materialise, shared_dir
 from .textkernel import BLANKS, U, chunks, grams, mix, words
 
+BUCKET = 64  #: larger buckets are compared by differences from their head
 SLOT_BITS = 18  #: the sketch has 2**SLOT_BITS counters, whatever the input
 _PIECE = 1 << 12
 _KEEP = U((1 << 56) - 1)
@@ -241,9 +244,27 @@ def _verify(num: int, den: int):
     return run
 
 
+def _differences(batches):
+    """The tokens that only a class or only its bucket's head has, in order;
+    one row without a token where there are none."""
+    for batch in batches:
+        c = [x.to_pylist() for x in batch.columns]
+        tokens, sizes = [], []
+        for full, head in zip(c[5], c[6]):
+            t = np.setxor1d(np.frombuffer(full, U), np.frombuffer(head, U), assume_unique=True)
+            tokens.append(t)
+            sizes.append(len(t))
+        rows = np.repeat(np.arange(batch.num_rows), np.maximum(sizes, 1))
+        none = [None]
+        yield pa.RecordBatch.from_arrays(
+            [*(batch.column(i).take(pa.array(rows)) for i in range(5)), pa.array([x for t in tokens for x in (t.view(np.int64).tolist() if len(t) else none)], pa.int64()), pa.array(np.array(sizes, np.int32)[rows]), pa.array([i for n in sizes for i in range(max(n, 1))], pa.int32())],
+            ["pivot", "key", "n", "root", "main", "token", "size", "pos"],
+        )
+
+
 class _Join:
     def __init__(self, docs: DataFrame, k: int, num: int, den: int):
-        self.docs, self.k, self.num, self.den = docs, k, num, den
+        self.docs, self.k, self.num, self.den = bounded(docs), k, num, den
         self.spark = docs.sparkSession
         self.base = shared_dir(self.spark)
         scan = materialise(docs.select("doc_id", "text").mapInArrow(_scan(k), "doc_id bigint, key bigint, n bigint, odd binary, piece int, counts binary"), "scan", self.base)
@@ -252,10 +273,43 @@ class _Join:
         self.level = self.spark.sparkContext.broadcast(_level(_sketch(scan)))
 
     def possible(self, a: str, b: str):
-        """Size and position filters of two entries of one bucket."""
+        """Size and position filters of two entries of one bucket, as if the
+        bucket's were their first shared shingle: a linked pair passes there."""
         n, m, i, j = (F.col(f"{x}.{y}").cast("bigint") for y in ("n", "pos") for x in (a, b))
         need = F.ceil((n + m) * self.num / F.lit(float(self.num + self.den)) - 1e-9)
-        return (F.least(n, m) * self.den >= F.greatest(n, m) * self.num) & (F.least(n - i, m - j) + F.least(i, j) >= need)
+        return (F.least(n, m) * self.den >= F.greatest(n, m) * self.num) & (F.least(n - i, m - j) >= need)
+
+    def sets(self, keys: DataFrame, name: str) -> DataFrame:
+        """Whole sets and further prefixes of the classes in column ``key``."""
+        # written, so that its true size decides on how the texts are joined
+        one = materialise(self.members.join(keys, "key").groupBy("key").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "key").coalesce(8), f"{name}_texts", self.base)
+        found = self.docs.select("doc_id", "text").join(one, self.docs["doc_id"].eqNullSafe(one["doc_id"])).select("text", "key")
+        return materialise(found.mapInArrow(_full_sets(self.k, self.num, self.den, self.level), "key bigint, full binary, p2 binary, p3 binary").dropDuplicates(["key"]), f"{name}_sets", self.base)
+
+    def deviating(self, rows: DataFrame) -> DataFrame:
+        """Candidate pairs of large buckets, by how members differ from the
+        bucket's head h: x and y differ in at least |x^h| + |y^h| - 2 shared
+        differences, so a pair that differs in at most d shingles shares
+        ceil((|x^h| + |y^h| - d) / 2) of these differences, rare ones first.
+        If that is none, one of the two is all but equal to the head, and the
+        smallest class of its size and kind stands for the others like it."""
+        members = materialise(rows.select("pivot", F.col("a.key").alias("key"), F.col("a.n").alias("n"), "root", "main").distinct(), "dev_members", self.base)
+        if members.isEmpty():
+            return self.spark.createDataFrame([], "u bigint, v bigint")
+        sets = self.sets(members.select(F.explode(F.array("pivot", "key")).alias("key")).distinct(), "dev").select("key", "full")
+        heads = sets.select(F.col("key").alias("pivot"), F.col("full").alias("head"))
+        both = members.join(sets, "key").join(heads, "pivot").select("pivot", "key", "n", "root", "main", "full", "head")
+        dev = materialise(both.mapInArrow(_differences, "pivot bigint, key bigint, n int, root bigint, main bigint, token bigint, size int, pos int"), "dev", self.base)
+        most = lambda a, b: F.floor((F.col(f"{a}.n") + F.col(f"{b}.n")) * (self.den - self.num) / F.lit(float(self.den + self.num)) + 1e-9)
+        need = lambda a, b: F.ceil((F.col(f"{a}.size") + F.col(f"{b}.size") - most(a, b)) / 2)
+        apart = (F.col("x.root") != F.col("y.root")) & (F.col("x.root") != F.col("x.main")) & ((F.col("y.root") == F.col("y.main")) | (F.col("x.key") < F.col("y.key")))
+        fits = F.least("x.n", "y.n") * self.den >= F.greatest("x.n", "y.n") * self.num
+        shared = dev.where("token is not null").alias("x").join(dev.where("token is not null").alias("y"), ["pivot", "token"]).where(apart & fits & (F.least(F.col("x.size") - F.col("x.pos"), F.col("y.size") - F.col("y.pos")) >= need("x", "y")))
+        same = dev.where("size <= 2 and pos = 0").groupBy("pivot", "n", "size", "root").agg(F.min("key").alias("key"), F.first("main").alias("main"))
+        once = dev.where("pos = 0")
+        alike = same.alias("x").join(once.alias("y"), "pivot").where((F.col("x.root") != F.col("y.root")) & fits & (need("x", "y") <= 0))
+        pair = [F.least("x.key", "y.key").alias("u"), F.greatest("x.key", "y.key").alias("v")]
+        return shared.select(*pair).unionByName(alike.select(*pair)).distinct()
 
     def links(self, pairs: DataFrame, name: str) -> DataFrame:
         """Those pairs (u, v) of class keys whose sets are similar enough."""
@@ -270,13 +324,7 @@ class _Join:
         if pairs.isEmpty():
             return pairs
         want = pairs.select(F.col("u").alias("key")).unionByName(pairs.select(F.col("v").alias("key"))).distinct()
-        # written, so that its true size decides on how the texts are joined
-        one = materialise(self.members.join(want, "key").groupBy("key").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "key").coalesce(8), f"{name}_texts", self.base)
-        sets = materialise(
-            self.docs.select("doc_id", "text").join(one, self.docs["doc_id"].eqNullSafe(one["doc_id"])).select("text", "key").mapInArrow(_full_sets(self.k, self.num, self.den, self.level), "key bigint, full binary, p2 binary, p3 binary").dropDuplicates(["key"]),
-            f"{name}_sets",
-            self.base,
-        )
+        sets = self.sets(want, name)
         left, right = (sets.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("full", "p2", "p3"))) for x in "uv")
         joined = pairs.join(right, "v").join(left, "u").select("u", "v", "full_u", "p2_u", "p3_u", "full_v", "p2_v", "p3_v")
         return materialise(joined.mapInArrow(_verify(self.num, self.den), "u bigint, v bigint"), f"{name}_links", self.base)
@@ -292,19 +340,20 @@ class _Join:
         links = self.links(star, "star")
         roots = materialise(connected_components(links), "roots1", self.base)
         # what the stars have left apart
-        placed = live.join(roots, F.col("a.key") == F.col("node"), "left").select("token", "a", F.coalesce("root", "a.key").alias("root")).dropDuplicates(["token", "a"])
+        placed = live.join(roots, F.col("a.key") == F.col("node"), "left").select("token", "a", F.col("head.key").alias("pivot"), F.coalesce("root", "a.key").alias("root")).dropDuplicates(["token", "a"])
         sizes = placed.groupBy("token", "root").agg(F.count("*").alias("rows"))
-        main = sizes.groupBy("token").agg(F.max_by("root", F.struct("rows", "root")).alias("main"), F.count("*").alias("roots")).where("roots > 1").select("token", "main")
+        main = sizes.groupBy("token").agg(F.max_by("root", F.struct("rows", "root")).alias("main"), F.count("*").alias("roots"), F.sum("rows").alias("members")).where("roots > 1").select("token", "main", "members")
         mixed = materialise(placed.join(main, "token"), "mixed", self.base)
-        rest = mixed.where("root <> main").select("token", "a", F.col("root").alias("ra"))
-        every = mixed.select("token", F.col("a").alias("b"), F.col("root").alias("rb"), "main")
+        small = mixed.where(F.col("members") <= BUCKET)
+        rest = small.where("root <> main").select("token", "a", F.col("root").alias("ra"))
+        every = small.select("token", F.col("a").alias("b"), F.col("root").alias("rb"), "main")
         cross = (
             rest.join(every, "token")
             .where((F.col("ra") != F.col("rb")) & ((F.col("rb") == F.col("main")) | (F.col("a.key") < F.col("b.key"))))
             .where(self.possible("a", "b"))
             .select(F.least("a.key", "b.key").alias("u"), F.greatest("a.key", "b.key").alias("v"))
-            .distinct()
         )
+        cross = cross.unionByName(self.deviating(mixed.where(F.col("members") > BUCKET))).distinct()
         done = star.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
         more = self.links(cross.join(done, ["u", "v"], "left_anti"), "cross")
         if not more.isEmpty():

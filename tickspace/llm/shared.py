@@ -8,6 +8,8 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+BATCH_BYTES = 6 << 20
+
 
 def shared_dir(spark: SparkSession) -> str:
     """A fresh folder URI below ``spark.checkpoint.dir``; a local temporary
@@ -30,6 +32,15 @@ def remove(spark: SparkSession, path: str) -> None:
     hpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hpath, True)
 
 
+def bounded(df: DataFrame) -> DataFrame:
+    """``df``, whose session will hand Python batches of some megabytes at most:
+    whatever the length of the texts, a worker holds little at a time."""
+    conf = df.sparkSession.conf
+    if int(str(conf.get("spark.sql.execution.arrow.maxBytesPerBatch")).rstrip("b")) > BATCH_BYTES:
+        conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
+    return df
+
+
 def materialise(df: DataFrame, name: str = "t", base: str | None = None) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it back: cuts the
     lineage in a way that survives the loss of any executor."""
