@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import bounded
 from .textkernel import NON_ALNUM, U, buffers, chunks, grams, words
 
 
@@ -149,7 +150,7 @@ def contaminated_spans(docs: DataFrame, benchmark: DataFrame, window: int = 10,
     [a, b) that ``item`` shares, null where there are none."""
     if not 1 <= k <= window:
         raise ValueError("k must lie between 1 and window")
-    src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
+    src = bounded(docs).select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words bigint, spans array<struct<a:int,b:int,item:string>>"
     sc = docs.sparkSession.sparkContext
     blocks = _blocks(benchmark, item_col, item_text_col, window, k, block_words) or [None]

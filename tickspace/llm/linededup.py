@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import bounded
 from .textkernel import BLANKS, U, chunks, mix, words
 
 DEPTH = 3  #: leading tokens that are levels of the tree of their own
@@ -99,7 +100,7 @@ def _emit(min_tokens: int):
 def template_records(docs: DataFrame, min_tokens: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row a record: id, content hash, number in the text, tokens,
     template key, and whether it is the text's first of its template."""
-    src = docs.select(F.col(id_col).cast("bigint").alias("id"), F.xxhash64(F.col(text_col)).alias("content"), F.col(text_col).alias("text"))
+    src = bounded(docs).select(F.col(id_col).cast("bigint").alias("id"), F.xxhash64(F.col(text_col)).alias("content"), F.col(text_col).alias("text"))
     return src.mapInArrow(_emit(min_tokens), "id bigint, content bigint, number int, tokens int, template bigint, once int")
 
 

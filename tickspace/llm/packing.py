@@ -26,6 +26,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import bounded
+
 #: the pre-tokeniser of byte-level vocabularies (a fixed value of the format)
 _SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -168,5 +170,5 @@ def pack_documents(docs: DataFrame, tokenizer: str, window: int = 2048, end_id:
     """One row a piece: doc_id, start, length, ids_crc32, doc_tokens,
     sequence_id, offset.  ``slack``: room above which a sequence is cut at
     powers of two (a sixteenth of the window unless given)."""
-    src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    src = bounded(docs).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     return src.mapInArrow(_pack(tokenizer, window, end_id, window // 16 if slack is None else slack, block_tokens), "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint")

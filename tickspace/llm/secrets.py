@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import bounded, materialise
+
 # The patterns of the base kinds.
 ASSIGN = re.compile(r"((?:[Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee][Cc][Rr][Ee][Tt]|[Tt][Oo][Kk][Ee][Nn]|[Aa][Pp][Ii]_?[Kk][Ee][Yy]))[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -76,7 +78,7 @@ def _scan(batches):
 def scan_candidates(docs: DataFrame, owner_col: str = "source", repo_col: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, content hash, owner, repo, found: candidates of each text."""
     repo = F.col(repo_col) if repo_col else F.concat_ws("/", F.col(owner_col), F.col("lang") if "lang" in docs.columns else F.lit(""))
-    src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col)).alias("content"), F.coalesce(F.col(owner_col).cast("string"), F.lit("")).alias("owner"), F.coalesce(repo.cast("string"), F.lit("")).alias("repo"))
+    src = bounded(docs).select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col)).alias("content"), F.coalesce(F.col(owner_col).cast("string"), F.lit("")).alias("owner"), F.coalesce(repo.cast("string"), F.lit("")).alias("repo"))
     return src.mapInArrow(_scan, "doc_id bigint, content bigint, owner string, repo string, found array<struct<start:int,kind:int,stop:int,hash:binary,random:boolean>>")
 
 
@@ -91,8 +93,6 @@ def ownership(scan: DataFrame) -> DataFrame:
 def find_secrets(docs: DataFrame, max_owners: int = 1, **columns) -> DataFrame:
     """Per row of ``docs``: doc_id, spans (start, kind, stop, owners, repos,
     live) of all base candidates and of the live bare tokens, by start."""
-    from .shared import materialise
-
     scan = materialise(scan_candidates(docs, **columns), "secrets")
     freq = ownership(scan)
     uses = scan.select("doc_id", "content", "owner", F.explode("found").alias("f")).select("doc_id", "content", "f.*")

@@ -32,6 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import bounded
 from .textkernel import NON_ALNUM, U, chunks, words
 
 BITS = 18
@@ -273,7 +274,7 @@ def _score(model_b, spans_at: float | None):
 def score_documents(docs: DataFrame, model: Model, spans_at: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, score, and with ``spans_at`` the byte offsets [start, stop) in
     the UTF-8 text of runs of words at least so likely to be toxic."""
-    src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
+    src = bounded(docs).select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = src.schema["doc_id"].dataType.simpleString()
     more = ", spans array<struct<start:bigint,stop:bigint>>" if spans_at is not None else ""
     return src.mapInArrow(_score(docs.sparkSession.sparkContext.broadcast(model), spans_at), f"doc_id {kind}, score double{more}")
@@ -296,5 +297,5 @@ def drop_toxic(docs: DataFrame, model: Model, threshold: float = 0.5, text_col:
             if keep:
                 yield batch.filter(pa.array(np.concatenate(keep)))
 
-    plain = docs.toDF(*[f"c{i}" for i in range(len(names))])
+    plain = bounded(docs).toDF(*[f"c{i}" for i in range(len(names))])
     return plain.mapInArrow(run, plain.schema).toDF(*names)

@@ -35,6 +35,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, EqualNullSafe, EqualTo, GreaterThan, GreaterThanOrEqual, In, InputPartition, IsNotNull, IsNull, LessThan, LessThanOrEqual, StringStartsWith, WriterCommitMessage
 
+from .shared import bounded
+
 SCHEMA = "file string, position bigint, record_type string, record_id string, target_uri string, refers_to string, http string, payload_length bigint, payload_digest string, payload binary"
 _FIELDS = {"record_type": "WARC-Type", "record_id": "WARC-Record-ID", "target_uri": "WARC-Target-URI", "refers_to": "WARC-Refers-To", "payload_digest": "WARC-Payload-Digest"}
 _MANIFEST = "_manifest.json"
@@ -328,7 +330,7 @@ def archive_rows(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     all.  One pre-aggregated minimum by digest, joined back: the join splits a
     hot payload's rows, and a row that shares its payload with none keeps its
     place in the same join."""
-    src = pages.select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(payload_col), "UTF-8").alias("payload"), F.col(url_col).alias("uri"))
+    src = bounded(pages).select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(payload_col), "UTF-8").alias("payload"), F.col(url_col).alias("uri"))
     rows = src.mapInArrow(_digests, "id bigint, payload binary, uri string, payload_length bigint, payload_digest string")
     # the digest of the count is made in the JVM, so that this scan needs no Python
     key = src.select("id", F.sha1(F.coalesce("payload", F.lit(b""))).alias("hex"), F.coalesce(F.length("payload"), F.lit(0)).alias("n"))
