@@ -13,9 +13,10 @@ Plan
 3. Star round: in each bucket (one prefix shingle) every class is compared only
    with the bucket's most central class: rows, not pairs.
 4. Remaining round: pairs of one bucket whose classes the links so far have NOT
-   put into one component; in large buckets only those that also share enough of
-   their differences from the bucket's head (a group of near copies that are not
-   quite similar enough would else be compared pair by pair).  Within a component no further comparison can change
+   put into one component; in large buckets, of the members near the bucket's
+   head, only those that also share enough of their differences from the head (a
+   group of near copies that are not quite similar enough would else be compared
+   pair by pair).  Within a component no further comparison can change
    the result, so a group of thousands of near copies costs a row per copy, and
    no link between different components is lost.
 5. Components over all links; every text gets its smallest reachable doc_id.
@@ -124,15 +125,16 @@ def differing(a: bytes, b: bytes) -> int:
     return (x ^ y).bit_count()
 
 
-def _close(num: int, den: int):
-    """Pairs that the parity sketches do not rule out."""
+def _close(num: int, den: int, times: int = 1):
+    """Pairs whose parity sketches differ in no more slots than ``times`` the
+    number of shingles that linked sets may differ in."""
 
     def run(batches):
         for batch in batches:
             u, v = np.asarray(batch.column(0)), np.asarray(batch.column(1))
             ok = np.zeros(len(u), bool)
             for i, (n, a, m, b) in enumerate(zip(*(batch.column(j).to_pylist() for j in range(2, 6)))):
-                ok[i] = differing(a, b) <= n + m - 2 * (-(-num * (n + m) // (num + den)))
+                ok[i] = differing(a, b) <= times * (n + m - 2 * (-(-num * (n + m) // (num + den))))
             yield pa.RecordBatch.from_arrays([pa.array(u[ok]), pa.array(v[ok])], ["u", "v"])
 
     return run
@@ -244,20 +246,25 @@ def _verify(num: int, den: int):
     return run
 
 
-def _differences(batches):
-    """The tokens that only a class or only its bucket's head has, in order;
-    one row without a token where there are none."""
+def _differences(num: int, den: int):
+    return lambda batches: _differing_tokens(batches, num, den)
+
+
+def _differing_tokens(batches, num: int, den: int):
+    """The first tokens that only a class or only its bucket's head has, in
+    order, as many as a link may differ in and one; one row without a token
+    where there are none."""
     for batch in batches:
         c = [x.to_pylist() for x in batch.columns]
         tokens, sizes = [], []
-        for full, head in zip(c[5], c[6]):
+        for n, full, head in zip(c[2], c[5], c[6]):
             t = np.setxor1d(np.frombuffer(full, U), np.frombuffer(head, U), assume_unique=True)
-            tokens.append(t)
             sizes.append(len(t))
-        rows = np.repeat(np.arange(batch.num_rows), np.maximum(sizes, 1))
+            tokens.append(t[: (n + n * den // num) * (den - num) // (den + num) + 1])
+        rows = np.repeat(np.arange(batch.num_rows), [max(len(t), 1) for t in tokens])
         none = [None]
         yield pa.RecordBatch.from_arrays(
-            [*(batch.column(i).take(pa.array(rows)) for i in range(5)), pa.array([x for t in tokens for x in (t.view(np.int64).tolist() if len(t) else none)], pa.int64()), pa.array(np.array(sizes, np.int32)[rows]), pa.array([i for n in sizes for i in range(max(n, 1))], pa.int32())],
+            [*(batch.column(i).take(pa.array(rows)) for i in range(5)), pa.array([x for t in tokens for x in (t.view(np.int64).tolist() if len(t) else none)], pa.int64()), pa.array(np.array(sizes, np.int32)[rows]), pa.array([i for t in tokens for i in range(max(len(t), 1))], pa.int32())],
             ["pivot", "key", "n", "root", "main", "token", "size", "pos"],
         )
 
@@ -288,7 +295,7 @@ class _Join:
 
     def deviating(self, rows: DataFrame) -> DataFrame:
         """Candidate pairs of large buckets, by how members differ from the
-        bucket's head h: x and y differ in at least |x^h| + |y^h| - 2 shared
+        bucket's head h (members that are near it): x and y differ in at least |x^h| + |y^h| - 2 shared
         differences, so a pair that differs in at most d shingles shares
         ceil((|x^h| + |y^h| - d) / 2) of these differences, rare ones first.
         If that is none, one of the two is all but equal to the head, and the
@@ -299,7 +306,7 @@ class _Join:
         sets = self.sets(members.select(F.explode(F.array("pivot", "key")).alias("key")).distinct(), "dev").select("key", "full")
         heads = sets.select(F.col("key").alias("pivot"), F.col("full").alias("head"))
         both = members.join(sets, "key").join(heads, "pivot").select("pivot", "key", "n", "root", "main", "full", "head")
-        dev = materialise(both.mapInArrow(_differences, "pivot bigint, key bigint, n int, root bigint, main bigint, token bigint, size int, pos int"), "dev", self.base)
+        dev = materialise(both.mapInArrow(_differences(self.num, self.den), "pivot bigint, key bigint, n int, root bigint, main bigint, token bigint, size int, pos int"), "dev", self.base)
         most = lambda a, b: F.floor((F.col(f"{a}.n") + F.col(f"{b}.n")) * (self.den - self.num) / F.lit(float(self.den + self.num)) + 1e-9)
         need = lambda a, b: F.ceil((F.col(f"{a}.size") + F.col(f"{b}.size") - most(a, b)) / 2)
         apart = (F.col("x.root") != F.col("y.root")) & (F.col("x.root") != F.col("x.main")) & ((F.col("y.root") == F.col("y.main")) | (F.col("x.key") < F.col("y.key")))
@@ -311,16 +318,20 @@ class _Join:
         pair = [F.least("x.key", "y.key").alias("u"), F.greatest("x.key", "y.key").alias("v")]
         return shared.select(*pair).unionByName(alike.select(*pair)).distinct()
 
+    def near(self, pairs: DataFrame, name: str, times: int) -> DataFrame:
+        """Pairs (u, v) that the sketches leave."""
+        ends = pairs.select(F.explode(F.array("u", "v")).alias("key")).distinct()
+        odd = materialise(self.odd.join(ends, "key").dropDuplicates(["key"]), f"{name}_odd", self.base)
+        left, right = (odd.select(F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}")) for x in "uv")
+        both = pairs.join(right, "v").join(left, "u").select("u", "v", "nu", "ou", "nv", "ov")
+        return materialise(both.mapInArrow(_close(self.num, self.den, times), "u bigint, v bigint"), f"{name}_near", self.base)
+
     def links(self, pairs: DataFrame, name: str) -> DataFrame:
         """Those pairs (u, v) of class keys whose sets are similar enough."""
         pairs = materialise(pairs, f"{name}_pairs", self.base)
         if pairs.isEmpty():
             return pairs
-        ends = pairs.select(F.explode(F.array("u", "v")).alias("key")).distinct()
-        odd = materialise(self.odd.join(ends, "key").dropDuplicates(["key"]), f"{name}_odd", self.base)
-        left, right = (odd.select(F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}")) for x in "uv")
-        near = pairs.join(right, "v").join(left, "u").select("u", "v", "nu", "ou", "nv", "ov")
-        pairs = materialise(near.mapInArrow(_close(self.num, self.den), "u bigint, v bigint"), f"{name}_near", self.base)
+        pairs = self.near(pairs, name, 1)
         if pairs.isEmpty():
             return pairs
         want = pairs.select(F.col("u").alias("key")).unionByName(pairs.select(F.col("v").alias("key"))).distinct()
@@ -344,16 +355,18 @@ class _Join:
         sizes = placed.groupBy("token", "root").agg(F.count("*").alias("rows"))
         main = sizes.groupBy("token").agg(F.max_by("root", F.struct("rows", "root")).alias("main"), F.count("*").alias("roots"), F.sum("rows").alias("members")).where("roots > 1").select("token", "main", "members")
         mixed = materialise(placed.join(main, "token"), "mixed", self.base)
-        small = mixed.where(F.col("members") <= BUCKET)
-        rest = small.where("root <> main").select("token", "a", F.col("root").alias("ra"))
-        every = small.select("token", F.col("a").alias("b"), F.col("root").alias("rb"), "main")
+        large = materialise(mixed.where(F.col("members") > BUCKET).select(F.col("pivot").alias("u"), F.col("a.key").alias("v")).distinct(), "large", self.base)
+        alike = self.near(large, "large", 2).select(F.col("u").alias("pivot"), F.col("v").alias("_key"), F.lit(True).alias("alike"))
+        kind = materialise(mixed.join(alike, (mixed["pivot"] == alike["pivot"]) & (F.col("a.key") == F.col("_key")), "left").select(mixed["token"], "a", mixed["pivot"], "root", "main", ((F.col("members") > BUCKET) & F.col("alike").isNotNull()).alias("alike")), "kind", self.base)
+        rest = kind.where("root <> main").select("token", "a", F.col("root").alias("ra"), "alike")
+        every = kind.select("token", F.col("a").alias("b"), F.col("root").alias("rb"), "main", "alike")
+        direct = rest.where("not alike").drop("alike").join(every.drop("alike"), "token").unionByName(rest.where("alike").drop("alike").join(every.where("not alike").drop("alike"), "token"))
         cross = (
-            rest.join(every, "token")
-            .where((F.col("ra") != F.col("rb")) & ((F.col("rb") == F.col("main")) | (F.col("a.key") < F.col("b.key"))))
+            direct.where((F.col("ra") != F.col("rb")))
             .where(self.possible("a", "b"))
             .select(F.least("a.key", "b.key").alias("u"), F.greatest("a.key", "b.key").alias("v"))
         )
-        cross = cross.unionByName(self.deviating(mixed.where(F.col("members") > BUCKET))).distinct()
+        cross = cross.unionByName(self.deviating(kind.where("alike"))).distinct()
         done = star.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
         more = self.links(cross.join(done, ["u", "v"], "left_anti"), "cross")
         if not more.isEmpty():
