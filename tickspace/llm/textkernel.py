@@ -9,6 +9,7 @@ bound the memory whatever the length of a text.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -16,6 +17,18 @@ import numpy as np
 import pyarrow as pa
 
 BLOCK = 1 << 20
+
+
+def _lean() -> None:
+    """Give large buffers back to the system at once: workers live long, and
+    several share an executor's memory."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "mallopt"):  # glibc
+        libc.mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD
+
+
+_lean()
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
 _BASE_INV = pow(_BASE, -1, 1 << 64)
