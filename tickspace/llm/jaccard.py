@@ -43,7 +43,7 @@ from .components import connected_components
 from .shared import bounded, materialise, shared_dir
 from .textkernel import BLANKS, U, chunks, grams, mix, words
 
-BUCKET = 64  #: larger buckets are compared by differences from their head
+BUCKET = 1000  #: larger buckets are compared by differences from their head
 SLOT_BITS = 18  #: the sketch has 2**SLOT_BITS counters, whatever the input
 _PIECE = 1 << 12
 _KEEP = U((1 << 56) - 1)
