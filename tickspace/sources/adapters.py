@@ -10,14 +10,22 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def read_stream(spark: SparkSession, sf_dir: str, name: str, files: int = 1) -> DataFrame:
+    """A table as a stream, ``files`` files a batch; by a pattern, as a file
+    source takes the name of a single file for a folder's."""
+    schema = read(spark, sf_dir, name).schema
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(f"{sf_dir}/{name}.parque[t]")
+
+
 def cents(col: str):
     return F.floor(F.col(col) * 100 + 0.5).cast("bigint")
 
 
-def fish_agents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """events: x along time, y along value (skewed), speeds from the user."""
+def fish_rows(events: DataFrame) -> DataFrame:
+    """events, static or streaming: x along time, y along value (skewed),
+    speeds from the user."""
     micros = F.timestamp_diff("MICROSECOND", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts"))
-    return read(spark, sf_dir, "events").select(
+    return events.select(
         F.col("event_id").cast("bigint").alias("id"),
         F.floor(micros / F.lit(26_000_000)).cast("bigint").alias("x"),
         cents("value").alias("y"),
@@ -27,6 +35,15 @@ def fish_agents(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def fish_agents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fish_rows(read(spark, sf_dir, "events"))
+
+
+def fish_stream(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
+    """The same agents as they arrive, ``files`` files a batch."""
+    return fish_rows(read_stream(spark, sf_dir, "events", files))
+
+
 def vehicle_agents(spark: SparkSession, sf_dir: str) -> DataFrame:
     """orders: the segment's length grows with the number of vehicles."""
     orders = read(spark, sf_dir, "orders")
