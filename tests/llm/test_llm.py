@@ -62,6 +62,19 @@ def test_line_dedup(docs, spark):
     assert linededup.drop_recurring_lines(docs).columns == docs.columns
 
 
+def test_line_dedup_passages(spark):
+    """A passage goes whole, whatever the borders of its records."""
+    passage = " ".join(f"p{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(60))
+    small = "We saw it. It was red. Then it went away again, nobody knows where to. The end."
+    han = "".join(chr(0x4E00 + 7 * i) for i in range(12))
+    rows = [(1, f"one host says {passage} and goes on"), (2, f"another, with {passage}\nsecond line"), (9, passage)]
+    rows += [(3, f"first\n{small}"), (4, f"{small}\nfourth"), (5, f"{han}\nfive"), (6, f"six\n{han}"), (7, " ".join(passage.split()[:49])), (None, f"none {passage}"), (8, "We saw it.")]
+    d = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = {r.doc_id: r.text for r in linededup.drop_recurring_lines(d, counts=True).collect()}
+    want = dict(rows) | {2: "another, with \nsecond line", 9: "", None: "none", 4: "fourth", 6: "six"}
+    assert got == want
+
+
 @pytest.mark.parametrize("block", [10**6, 20])
 def test_decontamination(spark, block):
     items = [(1, "one two three four five six seven eight nine ten eleven"), (2, "short item"), (3, None), (4, "")]

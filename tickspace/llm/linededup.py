@@ -9,12 +9,27 @@ one group of a distributed aggregation and no task walks the tree alone.
 
 A template recurs when at least ``min_docs`` documents have it (``short_docs``
 where it has fewer than ``long_tokens`` tokens; records of fewer than
-``min_tokens`` tokens never do).  The document with the smallest id keeps its
-records of the template, all other documents lose theirs.
+``min_tokens`` tokens never do alone).  The document with the smallest id keeps
+its records of the template, all other documents lose theirs.
 
-Shuffles: one row of three numbers a record, pre-aggregated a task for the
-counts; the join back splits hot templates; texts move once, to meet their
-list of dropped records.
+Two rules more find passages whatever the borders of their records:
+
+* a record of fewer than ``long_tokens`` tokens is also judged together with the
+  records after it, and with those before it, that bring it to that length;
+  such a group is one long record, and all its records go with it;
+* every run of ``run_tokens`` words, wherever it begins and ends, stays in the
+  document of the smallest id that has it and is cut from all others, so a
+  longer shared passage goes whole.  The smallest k-gram hash of a run marks it:
+  runs are compared only where two documents share the mark, which equal runs do.
+
+Characters of scripts without blanks are tokens of their own.  n_dropped counts
+records of which no word is left.  A cut from within a line to its end keeps the
+line break.
+
+Shuffles: a few numbers a record, group and mark, pre-aggregated a task for the
+counts; the joins back split hot templates; the run hashes of texts with shared
+marks; texts move once to meet their dropped records, those with shared marks
+once more to meet their cut runs.
 
 Defined cases: null text stays null, empty text stays empty; repeated rows
 under one id count as documents of their own and share their fate; a null id
@@ -25,14 +40,16 @@ an empty result.
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import bounded
-from .textkernel import BLANKS, U, chunks, mix, words
+from .shared import bounded, materialise
+from .textkernel import BLANKS, U, Words, chunks, mix, script_cuts, words
 
 DEPTH = 3  #: leading tokens that are levels of the tree of their own
 _STOPS = np.zeros(256, bool)
@@ -43,14 +60,43 @@ _WILD = U(0x2A2A2A2A2A2A2A2A)
 _ODD, _ODD_INV = 0xD6E8FEB86659FD93, pow(0xD6E8FEB86659FD93, -1, 1 << 64)
 
 
-def records(data: np.ndarray, off: np.ndarray):
-    """(text row, number within the text, start byte, next record's start or
-    text end, token count, template key) of every record, as arrays."""
-    w = words(data, off, BLANKS)
+def _sums(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Running polynomial sum and the inverse powers, for hashes of any span."""
+    m = len(values)
+    with np.errstate(over="ignore"):
+        power = np.cumprod(np.full(m, _ODD, U), dtype=U)
+        back = np.cumprod(np.full(m + 1, _ODD_INV, U), dtype=U)
+        total = np.zeros(m + 1, U)
+        np.cumsum(values * power, out=total[1:])
+    return total, back
+
+
+def _span(sums: tuple[np.ndarray, np.ndarray], first: np.ndarray, last: np.ndarray, salt: int) -> np.ndarray:
+    total, back = sums
+    with np.errstate(over="ignore"):
+        return mix((total[last] - total[first]) * back[first], salt)
+
+
+@dataclass
+class Records:
+    """Of every record: text row, number within the text, first word, end word,
+    template key; and the words, and the words' sums with wildcards."""
+
+    text: np.ndarray
+    number: np.ndarray
+    first: np.ndarray
+    last: np.ndarray
+    key: np.ndarray
+    words: Words
+    sums: tuple[np.ndarray, np.ndarray]
+
+
+def records(data: np.ndarray, off: np.ndarray) -> Records:
+    w = words(data, off, BLANKS, cuts=script_cuts(data))
     m = len(w.start)
     if not m:
         z = np.zeros(0, np.int64)
-        return z, z, z, z, z, np.zeros(0, U)
+        return Records(z, z, z, z, np.zeros(0, U), w, _sums(np.zeros(0, U)))
     breaks = np.zeros(len(data) + 1, np.int32)
     np.cumsum(data == 10, out=breaks[1:])
     opens = np.empty(m, bool)
@@ -62,46 +108,86 @@ def records(data: np.ndarray, off: np.ndarray):
     first = np.flatnonzero(opens)
     last = np.append(first[1:], m)
     count = last - first
-    with np.errstate(over="ignore"):
-        power = np.cumprod(np.full(m + 1, _ODD, U), dtype=U)
-        back = np.cumprod(np.full(m + 1, _ODD_INV, U), dtype=U)
-        total = np.zeros(m + 1, U)
-        np.cumsum(tokens * power[:m], out=total[1:])
-        key = mix(count.astype(U), 11)  # level 1: token count
-        for d in range(DEPTH):  # next levels: leading tokens
-            key = mix(key ^ np.where(count > d, tokens[np.minimum(first + d, m - 1)], U(0)), 12 + d)
-        key = mix(key ^ mix((total[last] - total[first]) * back[first], 20), 21)  # leaf: the whole template
+    sums = _sums(tokens)
+    key = mix(count.astype(U), 11)  # level 1: token count
+    for d in range(DEPTH):  # next levels: leading tokens
+        key = mix(key ^ np.where(count > d, tokens[np.minimum(first + d, m - 1)], U(0)), 12 + d)
+    key = mix(key ^ _span(sums, first, last, 20), 21)  # leaf: the whole template
     text = w.text[first]
-    starts = w.start[first]
-    ends = np.where(np.append(text[1:], -1) == text, np.append(starts[1:], 0), off[text + 1])
     number = np.arange(len(first)) - np.searchsorted(text, text)
-    return text, number, starts, ends, count, key
+    return Records(text, number, first, last, key, w, sums)
+
+
+def _groups(r: Records, long_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+    """(first record, last record) of the groups that bring each short record
+    to ``long_tokens`` tokens, to the right and to the left."""
+    short = np.flatnonzero(r.last - r.first < long_tokens)
+    right = np.searchsorted(r.last, r.first[short] + long_tokens)
+    left = np.searchsorted(r.first, r.last[short] - long_tokens, "right") - 1
+    n = len(r.text)
+    to = (right < n) & (r.text[np.minimum(right, n - 1)] == r.text[short])
+    fro = (left >= 0) & (r.text[np.maximum(left, 0)] == r.text[short])
+    pairs = np.unique(np.concatenate([short[to] * n + right[to], left[fro] * n + short[fro]]))
+    return pairs // max(n, 1), pairs % max(n, 1)
 
 
-def _emit(min_tokens: int):
+def _marks(w: Words, run_tokens: int) -> tuple[np.ndarray, np.ndarray, tuple]:
+    """(first word, mark) of every run of ``run_tokens`` words of one text, and
+    the words' sums; the mark is the smallest hash of the run's k-grams."""
+    k = max(1, run_tokens // 3)
+    sums = _sums(w.hash)
+    n = len(w.hash) - run_tokens + 1
+    if n <= 0:
+        return np.zeros(0, np.int64), np.zeros(0, U), sums
+    at = np.arange(len(w.hash) - k + 1)
+    low, span, width = _span(sums, at, at + k, 31), 1, run_tokens - k + 1
+    while span < width:
+        step = min(span, width - span)
+        low = np.minimum(low[:-step], low[step:])
+        span += step
+    inside = np.flatnonzero(w.text[:n] == w.text[run_tokens - 1 :])
+    return inside, low[inside], sums
+
+
+def _emit(min_tokens: int, long_tokens: int, run_tokens: int):
     def run(batches):
         for batch in batches:
             ids, hashes = batch.column(0), np.asarray(batch.column(1))
             for row, end, data, off in chunks(batch.column(2)):
-                text, number, _, _, count, key = records(data, off)
+                r = records(data, off)
+                count = r.last - r.first
                 ok = count >= min_tokens
-                text, number, count, key = text[ok], number[ok], count[ok], key[ok]
+                a, b = _groups(r, long_tokens)
+                at, mark, _ = _marks(r.words, run_tokens)
+                new = np.ones(len(at), bool)
+                new[1:] = (mark[1:] != mark[:-1]) | (r.words.text[at[1:]] != r.words.text[at[:-1]])
+                at, mark = at[new], mix(mark[new], 32)
+                size = r.last[b] - r.first[a]
+                group = mix(_span(r.sums, r.first[a], r.last[b], 22) ^ mix(size.astype(U), 23), 24)
+                text = np.concatenate([r.text[ok], r.text[a], r.words.text[at]])
+                number = np.concatenate([r.number[ok], r.number[a], np.zeros(len(at), np.int64)])
+                upto = np.concatenate([r.number[ok], r.number[b], np.full(len(at), -1)])
+                size = np.minimum(np.concatenate([count[ok], size, np.full(len(at), 1 << 20)]), 1 << 20)
+                key = np.concatenate([r.key[ok], group, mark])
                 order = np.lexsort((number, key, text))
-                head = np.ones(len(order), bool)
-                head[1:] = (text[order][1:] != text[order][:-1]) | (key[order][1:] != key[order][:-1])
+                first = np.ones(len(order), bool)
+                first[1:] = (text[order][1:] != text[order][:-1]) | (key[order][1:] != key[order][:-1])
                 once = np.zeros(len(order), bool)
-                once[order[head]] = True  # a document counts once for a template
-                at = pa.array(text + row)
-                yield pa.RecordBatch.from_arrays([ids.take(at), pa.array(hashes[text + row]), pa.array(number.astype(np.int32)), pa.array(np.minimum(count, 1 << 20).astype(np.int32)), pa.array(key.view(np.int64)), pa.array(once.astype(np.int32))], ["id", "content", "number", "tokens", "template", "once"])
+                once[order[first]] = True  # a document counts once for a template
+                some = once | (upto >= 0)
+                text, number, upto, size, key, once = (c[some] for c in (text, number, upto, size, key, once))
+                cols = [pa.array(number.astype(np.int32)), pa.array(upto.astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(key.view(np.int64)), pa.array(once.astype(np.int32))]
+                yield pa.RecordBatch.from_arrays([ids.take(pa.array(text + row)), pa.array(hashes[text + row]), *cols], ["id", "content", "number", "upto", "tokens", "template", "once"])
 
     return run
 
 
-def template_records(docs: DataFrame, min_tokens: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row a record: id, content hash, number in the text, tokens,
-    template key, and whether it is the text's first of its template."""
+def template_records(docs: DataFrame, min_tokens: int = 3, id_col: str = "doc_id", text_col: str = "text", long_tokens: int = 8, run_tokens: int = 50) -> DataFrame:
+    """One row a record, a group of records and a mark: id, content hash, first
+    and last record (-1: a mark), tokens, key, and whether it is the text's
+    first of its key."""
     src = bounded(docs).select(F.col(id_col).cast("bigint").alias("id"), F.xxhash64(F.col(text_col)).alias("content"), F.col(text_col).alias("text"))
-    return src.mapInArrow(_emit(min_tokens), "id bigint, content bigint, number int, tokens int, template bigint, once int")
+    return src.mapInArrow(_emit(min_tokens, long_tokens, run_tokens), "id bigint, content bigint, number int, upto int, tokens int, template bigint, once int")
 
 
 def recurring(recs: DataFrame, min_docs: int = 2, long_tokens: int = 8, short_docs: int = 5) -> DataFrame:
@@ -111,45 +197,92 @@ def recurring(recs: DataFrame, min_docs: int = 2, long_tokens: int = 8, short_do
     return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("tokens").alias("tokens")).where(F.col("docs") >= need).select("template", "keeper")
 
 
-def _rebuild(at_text: int, at_drop: int, schema: pa.Schema):
+def _runs(run_tokens: int):
     def run(batches):
         for batch in batches:
-            old, drops, out, lost, had = batch.column(at_text), batch.column(at_drop).to_pylist(), [], [], []
-            for row, end, data, off in chunks(old):
-                text, number, starts, ends, _, _ = records(data, off)
+            uid, ids, shared = np.asarray(batch.column(0)), batch.column(1), batch.column(3)
+            for row, end, data, off in chunks(batch.column(2)):
+                w = words(data, off, BLANKS, cuts=script_cuts(data))
+                at, mark, sums = _marks(w, run_tokens)
+                mark, text, first = mix(mark, 32).view(np.int64), w.text[at], w.first(end - row)
                 bounds = np.searchsorted(text, np.arange(end - row + 1))
+                hit = np.zeros(len(at), bool)
+                for i in range(end - row):
+                    hit[bounds[i] : bounds[i + 1]] = np.isin(mark[bounds[i] : bounds[i + 1]], shared[row + i].values.to_numpy())
+                at, text = at[hit], text[hit]
+                key = _span(sums, at, at + run_tokens, 33)
+                yield pa.RecordBatch.from_arrays([pa.array(uid[text + row]), ids.take(pa.array(text + row)), pa.array(key.view(np.int64)), pa.array((at - first[text]).astype(np.int32))], ["uid", "id", "run", "at"])
+
+    return run
+
+
+def _rebuild(at_text: int, n_columns: int, run_tokens: int):
+    def run(batches):
+        for batch in batches:
+            old, out, lost, had = batch.column(at_text), [], [], []
+            drops, cuts = (batch.column(n_columns + i).to_pylist() for i in range(2))
+            for row, end, data, off in chunks(old):
+                r = records(data, off)
+                w, first = r.words, r.words.first(end - row)
+                bounds = np.searchsorted(r.text, np.arange(end - row + 1))
                 for i in range(end - row):
                     had.append(int(bounds[i + 1] - bounds[i]))
-                    gone = drops[row + i]
-                    if not gone:
+                    gone, runs = drops[row + i], cuts[row + i]
+                    if not gone and not runs:
                         out.append(old[row + i].as_py())
                         lost.append(0)
                         continue
-                    keep = np.ones(had[-1], bool)
-                    keep[gone] = False
-                    lost.append(int((~keep).sum()))
-                    lead = bytes(data[off[i] : starts[bounds[i]]]) if keep[0] else b""
-                    body = b"".join(data[starts[j] : ends[j]].tobytes() for j in bounds[i] + np.flatnonzero(keep))
-                    out.append((lead + body).rstrip(b" \t\n\r\x0b\x0c").decode())
-            cols = [pa.array(out, pa.string()) if i == at_text else c for i, c in enumerate(batch.columns) if i != at_drop]
+                    lo, hi = first[i], first[i + 1]
+                    step = np.zeros(hi - lo + 1, np.int32)
+                    if gone:
+                        np.add.at(step, r.first[bounds[i] + np.array([g["a"] for g in gone])] - lo, 1)
+                        np.add.at(step, r.last[bounds[i] + np.array([g["b"] for g in gone])] - lo, -1)
+                    if runs:
+                        np.add.at(step, np.array(runs), 1)
+                        np.add.at(step, np.array(runs) + run_tokens, -1)
+                    keep = np.cumsum(step[:-1]) == 0
+                    kept = np.append(0, np.cumsum(keep))
+                    mine = slice(bounds[i], bounds[i + 1])
+                    lost.append(int((kept[r.last[mine] - lo] == kept[r.first[mine] - lo]).sum()))
+                    edge = np.flatnonzero(np.diff(np.concatenate([[False], keep, [False]]).astype(np.int8)))
+                    stop = np.append(w.start[lo + 1 : hi], off[i + 1])  # of each word with what follows it
+                    pieces = []
+                    for a, b in edge.reshape(-1, 2):
+                        begin = off[i] if a == 0 else w.start[lo + a]
+                        if pieces and b"\n" not in pieces[-1][len(pieces[-1].rstrip(b" \t\n\r\x0b\x0c")) :] and b"\n" in data[w.end[lo + a - 1] : begin].tobytes():
+                            pieces.append(b"\n")
+                        pieces.append(data[begin : stop[b - 1]].tobytes())
+                    out.append(b"".join(pieces).rstrip(b" \t\n\r\x0b\x0c").decode())
+            cols = [pa.array(out, pa.string()) if i == at_text else c for i, c in enumerate(batch.columns[:n_columns])]
             yield pa.RecordBatch.from_arrays([*cols, pa.array(had, pa.int32()), pa.array(lost, pa.int32())], schema=None, names=[f"c{i}" for i in range(len(cols) + 2)])
 
     return run
 
 
-def drop_recurring_lines(docs: DataFrame, min_docs: int = 2, min_tokens: int = 3, long_tokens: int = 8, short_docs: int = 5, id_col: str = "doc_id", text_col: str = "text", counts: bool = False) -> DataFrame:
-    """``docs`` with recurring records cut out of the text; with ``counts`` also
-    n_records and n_dropped."""
-    recs = template_records(docs, min_tokens, id_col, text_col)
+def drop_recurring_lines(docs: DataFrame, min_docs: int = 2, min_tokens: int = 3, long_tokens: int = 8, short_docs: int = 5, id_col: str = "doc_id", text_col: str = "text", counts: bool = False, run_tokens: int = 50) -> DataFrame:
+    """``docs`` with recurring records and runs cut out of the text; with
+    ``counts`` also n_records and n_dropped."""
+    recs = template_records(docs, min_tokens, id_col, text_col, long_tokens, run_tokens)
     rec = recurring(recs, min_docs, long_tokens, short_docs)
-    cut = recs.join(rec, "template").where(~F.col("id").eqNullSafe(F.col("keeper")))
-    drops = cut.groupBy(F.col("id").alias("_id"), F.col("content").alias("_content")).agg(F.collect_set("number").alias("_drop"))
+    mark = F.col("upto") < 0
+    hits = recs.join(rec, "template").where(mark | ~F.col("id").eqNullSafe(F.col("keeper")))
+    drop = F.collect_set(F.when(~mark, F.struct(F.col("number").alias("a"), F.col("upto").alias("b")))).alias("_drop")
+    drops = hits.groupBy(F.col("id").alias("_id"), F.col("content").alias("_content")).agg(drop, F.collect_set(F.when(mark, F.col("template"))).alias("_marks"))
     names = docs.columns
     plain = docs.toDF(*[f"c{i}" for i in range(len(names))])
     at, at_id = names.index(text_col), names.index(id_col)
-    both = plain.join(drops, plain[f"c{at_id}"].cast("bigint").eqNullSafe(F.col("_id")) & (F.xxhash64(plain[f"c{at}"]) == F.col("_content")), "left").select(*plain.columns, "_drop")
+    key = plain[f"c{at_id}"].cast("bigint")
+    both = plain.join(drops, key.eqNullSafe(F.col("_id")) & (F.xxhash64(plain[f"c{at}"]) == F.col("_content")), "left")
+    both = materialise(both.select(*plain.columns, "_drop", "_marks", key.alias("_id"), F.monotonically_increasing_id().alias("_uid")), "records")
+    marked = F.coalesce(F.size("_marks"), F.lit(0)) > 0
+    runs = both.where(marked).select("_uid", "_id", f"c{at}", "_marks").mapInArrow(_runs(run_tokens), "uid bigint, id bigint, run bigint, at int")
+    shared = runs.groupBy("run").agg(F.min("id").alias("keeper"), F.count("*").alias("n")).where("n > 1")
+    cuts = runs.join(shared, "run").where(~F.col("id").eqNullSafe(F.col("keeper"))).groupBy("uid").agg(F.collect_set("at").alias("_cut"))
+    columns = [*plain.columns, "_drop", "_cut"]
+    cut = both.where(marked).join(cuts, F.col("_uid") == F.col("uid"), "left").select(*columns)
+    rest = both.where(~marked).withColumn("_cut", F.lit(None).cast("array<int>")).select(*columns)
     schema = T.StructType([T.StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)] + [T.StructField(f"c{len(names)}", T.IntegerType()), T.StructField(f"c{len(names) + 1}", T.IntegerType())])
-    out = both.mapInArrow(_rebuild(at, len(names), None), schema)
+    out = cut.unionByName(rest).mapInArrow(_rebuild(at, len(names), run_tokens), schema)
     if counts:
         return out.toDF(*names, "n_records", "n_dropped")
     return out.select(*[F.col(f"c{i}") for i in range(len(names))]).toDF(*names)

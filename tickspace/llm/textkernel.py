@@ -108,12 +108,28 @@ class Words:
         return np.searchsorted(self.text, np.arange(texts + 1))
 
 
-def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: tuple[int, ...] = ()) -> Words | tuple:
+def script_cuts(data: np.ndarray) -> np.ndarray | None:
+    """Byte positions before and after every character of the scripts that are
+    written without blanks (Han, kana, Thai, Lao, Khmer, Myanmar)."""
+    lead = np.flatnonzero(data >= 0xE0)
+    if not len(lead):
+        return None
+    one, two = data[lead], data[np.minimum(lead + 1, len(data) - 1)]
+    thai = (one == 0xE0) & (two >= 0xB8) & (two <= 0xBB)
+    khmer = (one == 0xE1) & ((two <= 0x82) | (two == 0x9E) | (two == 0x9F))
+    rare = (one == 0xF0) & (two >= 0xA0) & (two <= 0xB3)
+    at = lead[((one >= 0xE3) & (one <= 0xE9)) | thai | khmer | rare]
+    return np.concatenate([at, at + 3 + (data[at] == 0xF0)])
+
+
+def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: tuple[int, ...] = (), cuts: np.ndarray | None = None) -> Words | tuple:
     """Words of all texts, A-Z lower-cased; with ``prefixes`` also the hashes
-    of the words' first so many bytes."""
+    of the words' first so many bytes; ``cuts``: where words begin besides."""
     parts, at, n = [], 0, len(data)
     bounds = np.zeros(n + 1, bool)
     bounds[off] = True
+    if cuts is not None:
+        bounds[cuts] = True
     while at < n:
         end = min(n, at + BLOCK)
         if end < n:
