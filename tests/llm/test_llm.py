@@ -84,6 +84,15 @@ def test_decontamination(spark, block):
     assert got == {1: (12, 10, 1, True), 2: (5, 2, 1, True), 3: (9, 0, 0, False), 4: (0, 0, 0, False)}
 
 
+@pytest.mark.parametrize("block", [10**6, 20])
+def test_decontamination_judges_repeated_rows(spark, block):
+    item = "one two three four five six seven eight nine ten eleven"
+    bench = spark.createDataFrame([(i, f"{item} {text(i, 30)}") for i in range(4)], "item_id bigint, text string")
+    d = spark.createDataFrame([(1, item), (1, item), (None, item), (None, item), (2, "x"), (2, "x"), (3, None), (3, None)], "doc_id bigint, text string")
+    got = [(r.doc_id, r.n_words, r.n_hit, r.n_items) for r in decontam.decontamination_report(d, bench, block_words=block).collect()]
+    assert sorted(got, key=str) == sorted([(1, 11, 11, 4)] * 2 + [(None, 11, 11, 4)] * 2 + [(2, 1, 0, 0)] * 2 + [(3, 0, 0, 0)] * 2, key=str)
+
+
 def test_packing(docs):
     from tokenizers import Tokenizer
 

@@ -11,7 +11,8 @@ Items of fewer words are looked up whole.
 The benchmark side is broadcast in blocks of at most ``block_words`` words (a
 proven bound: blocks are cut by a running sum).  A benchmark within one block,
 the usual case, needs a single scan of the documents and no shuffle; a larger
-one takes a scan a block, whose hits are united per text.
+one takes a scan a block, over rows numbered and written once, whose hits are
+united per row.
 
 Defined cases: null, empty or wordless texts have no words and are clean;
 wordless items never occur; repeated item ids count once; repeated rows are
@@ -27,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import bounded
+from .shared import bounded, materialise
 from .textkernel import NON_ALNUM, U, buffers, chunks, grams, words
 
 
@@ -156,7 +157,7 @@ def contaminated_spans(docs: DataFrame, benchmark: DataFrame, window: int = 10,
     blocks = _blocks(benchmark, item_col, item_text_col, window, k, block_words) or [None]
     if len(blocks) == 1:
         return src.mapInArrow(_kernel(sc.broadcast(blocks[0])), kind)
-    src = src.select(F.struct("doc_id", F.xxhash64("text").alias("h")).alias("doc_id"), "text")
+    src = bounded(materialise(src.select(F.struct("doc_id", F.monotonically_increasing_id().alias("row")).alias("doc_id"), "text"), "rows"))
     part = f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words bigint, spans array<struct<a:int,b:int,item:string>>"
     every = None
     for block in blocks:
