@@ -159,6 +159,13 @@ def test_licenses(spark):
     assert got == {1: ("MIT", ["MIT"]), 2: (None, ["MIT"]), 3: (None, []), 4: (None, [])}
 
 
+def test_licenses_need_no_words_in_the_raw_text(spark):
+    d = spark.createDataFrame([(1, "x\nAll-rights, reserved\ny"), (2, "x\nEt voilà: le texte\ny"), (3, "Et voilà le\ntexte, encore")], "doc_id bigint, text string")
+    own = spark.createDataFrame([("own", "et voilà le texte"), ("short", "y"), ("all", "All rights reserved.")], "license string, text string")
+    got = {r.doc_id: r.line_licenses for r in licenses.license_matches(d, own).collect()}
+    assert got == {1: ["all", "short"], 2: ["own", "short"], 3: []}
+
+
 def test_warc_skips_and_round_trips(spark, tmp_path):
     pages = spark.createDataFrame([(3, "http://a", "same"), (1, "http://b", "same"), (2, None, None), (4, "http://d", "é" * 5000)], "page_id bigint, url string, html string")
     warc.write_archives(warc.archive_rows(pages), f"file://{tmp_path}/w")
