@@ -4,6 +4,7 @@ import collections
 import hashlib
 import io
 import re
+import tempfile
 import zlib
 
 import numpy as np
@@ -166,6 +167,17 @@ def test_licenses_need_no_words_in_the_raw_text(spark):
     assert got == {1: ["all", "short"], 2: ["own", "short"], 3: []}
 
 
+def test_licenses_whole_texts(spark):
+    from tickspace.llm.queries import op9_licenses
+
+    texts = dict(reversed(licenses.whole_texts()))
+    wrapped = "This Source Code Form is subject to\n// the terms of the Mozilla\n\n// Public License, v. 2.0."
+    rows = [(1, "The MIT License (MIT)\n\nCopyright (c) 2020 A B\n\n" + texts["MIT"]), (2, "\n\n".join(f"  {line}" for line in texts["GPL-3.0"].split("\n"))), (3, "code\n" + texts["BSD-2-Clause"] + "\ncode"), (4, f"code\n// {wrapped}\ncode"), (5, texts["MIT"][:-20])]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.mode("overwrite").parquet(f"{(folder := tempfile.mkdtemp())}/documents.parquet")
+    got = {r.doc_id: (r.license, r.line_licenses) for r in op9_licenses(spark, folder).collect()}
+    assert got == {1: ("MIT", "MIT"), 2: ("GPL-3.0", "GPL-3.0"), 3: (None, "BSD-2-Clause"), 4: (None, "MPL-2.0"), 5: (None, "")}
+
+
 def test_warc_skips_and_round_trips(spark, tmp_path):
     pages = spark.createDataFrame([(3, "http://a", "same"), (1, "http://b", "same"), (2, None, None), (4, "http://d", "é" * 5000)], "page_id bigint, url string, html string")
     warc.write_archives(warc.archive_rows(pages), f"file://{tmp_path}/w")

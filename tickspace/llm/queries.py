@@ -74,7 +74,7 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = licenses.license_matches(table(spark, sf_dir, "documents"), licenses.notices(spark))
+    out = licenses.license_matches(table(spark, sf_dir, "documents"), licenses.known_licenses(spark))
     return out.select("doc_id", "digest", "license", F.array_join("line_licenses", ",").alias("line_licenses"))
 
 
