@@ -276,7 +276,7 @@ def drop_recurring_lines(docs: DataFrame, min_docs: int = 2, min_tokens: int = 3
     both = materialise(both.select(*plain.columns, "_drop", "_marks", key.alias("_id"), F.monotonically_increasing_id().alias("_uid")), "records")
     marked = F.coalesce(F.size("_marks"), F.lit(0)) > 0
     runs = both.where(marked).select("_uid", "_id", f"c{at}", "_marks").mapInArrow(_runs(run_tokens), "uid bigint, id bigint, run bigint, at int")
-    shared = runs.groupBy("run").agg(F.min("id").alias("keeper"), F.count("*").alias("n")).where("n > 1")
+    shared = runs.groupBy("run").agg(F.min("id").alias("keeper"), (F.count("*") if min_docs <= 2 else F.countDistinct("uid")).alias("n")).where(F.col("n") >= max(min_docs, 2))
     cuts = runs.join(shared, "run").where(~F.col("id").eqNullSafe(F.col("keeper"))).groupBy("uid").agg(F.collect_set("at").alias("_cut"))
     columns = [*plain.columns, "_drop", "_cut"]
     cut = both.where(marked).join(cuts, F.col("_uid") == F.col("uid"), "left").select(*columns)
