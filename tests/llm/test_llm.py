@@ -190,6 +190,15 @@ def test_warc_skips_and_round_trips(spark, tmp_path):
     assert [r["payload"] for r in warc.read_records(io.BytesIO(plain * 2), 2 * len(plain))] == [b"z", b"z"]
 
 
+def test_warc_long_http_header():
+    http = "HTTP/1.1 200 OK\r\nX: " + "a" * 50_000 + "\r\n\r\n"
+    block = http.encode() + b"z"
+    plain = f"WARC/1.0\r\nWARC-Type: response\r\nContent-Type: application/http\r\nContent-Length: {len(block)}\r\n\r\n".encode() + block + b"\r\n\r\n"
+    for payload in (True, False):
+        got = [(r["http"], r["payload_length"]) for r in warc.read_records(io.BytesIO(plain * 2), 2 * len(plain), payload=payload)]
+        assert got == [(http, 1)] * 2
+
+
 def test_toxicity_held_out():
     r = np.random.default_rng(5)
     texts = [text(i, 80) for i in range(400)]

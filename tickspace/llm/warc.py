@@ -165,8 +165,11 @@ def read_records(source, size: int, keep=lambda row: True, payload: bool = True)
         row = _row(head) | {"position": at, "http": None, "payload_length": None, "payload": None}
         if keep(row):
             if head.get("content-type", "").startswith("application/http"):
-                member.until(start + (length if payload else min(length, 4096)))
-                cut = member.data.find(b"\r\n\r\n", start, start + length)
+                ask = length if payload else min(length, 4096)
+                member.until(start + ask)
+                while (cut := member.data.find(b"\r\n\r\n", start, start + length)) < 0 and ask < length:
+                    ask = min(length, 4 * ask)
+                    member.until(start + ask)
                 body = cut + 4 if cut >= 0 else start
                 row["http"] = member.data[start:body].decode("utf-8", "replace")
                 told = _header(row["http"].encode()).get("content-length")
