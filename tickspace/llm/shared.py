@@ -5,17 +5,23 @@ from __future__ import annotations
 import re
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 BATCH_BYTES = 6 << 20
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A fresh folder URI below ``spark.checkpoint.dir``; a local temporary
-    folder only where the session names none (tests).  Removed at JVM exit."""
+    """A fresh folder URI below ``spark.checkpoint.dir``, removed at JVM exit.  A
+    temporary folder of this machine only where the session names none and runs
+    in this one process (tests); a cluster without the setting is refused."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = "file://" + tempfile.gettempdir() + "/checkpoints"
     path = f"{base.rstrip('/')}/tickspace-{uuid.uuid4().hex}"
     jvm = spark._jvm
@@ -41,12 +47,25 @@ def bounded(df: DataFrame) -> DataFrame:
     return df
 
 
+@contextmanager
+def _freeing(spark: SparkSession) -> Iterator[None]:
+    """Shuffle files of the jobs within go as soon as a job is done, not when the
+    driver happens to collect its garbage: what it wrote replaces them."""
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
+
+
 def materialise(df: DataFrame, name: str = "t", base: str | None = None) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it back: cuts the
     lineage in a way that survives the loss of any executor."""
     spark = df.sparkSession
     path = f"{base or shared_dir(spark)}/{name}"
-    df.write.mode("overwrite").parquet(path)
+    with _freeing(spark):
+        df.write.mode("overwrite").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
