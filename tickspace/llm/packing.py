@@ -10,8 +10,9 @@ Tasks pack on their own, in blocks of about ``block_tokens`` tail tokens, so
 memory is bounded and no row is shuffled; a task's sequence ids carry its
 partition number.  Re-running a lost task gives the same sequences.
 
-Defined cases: null text is empty (its end id alone); repeated rows and equal
-ids are packed each; extra columns are ignored; an empty table packs nothing.
+Defined cases: null text is empty (its end id alone); repeated rows, equal ids
+and null ids are packed each; a text of any length is cut into full windows;
+extra columns are ignored; an empty table packs nothing.
 """
 
 from __future__ import annotations
@@ -38,10 +39,15 @@ def encoder(path: str):
 
     A byte-level vocabulary whose ids follow its merge order is run by
     ``tiktoken``, which is several times faster and gives the same ids; any
-    other file is run by ``tokenizers`` itself.
+    other file is run by ``tokenizers`` itself, and so is a text on which the
+    faster one gives up (its pattern fails on about a million blanks in a row).
     """
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
+    from tokenizers import Tokenizer
+
+    slow = Tokenizer.from_file(path)
+    plainly = lambda text: np.array(slow.encode(text, add_special_tokens=False).ids, "<u4")
     model, pre = spec["model"], spec.get("pre_tokenizer") or {}
     plain = model.get("type") == "BPE" and spec.get("normalizer") is None and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True) and not model.get("ignore_merges") and model.get("dropout") is None and not model.get("continuing_subword_prefix") and not model.get("end_of_word_suffix")
     if plain:
@@ -54,11 +60,15 @@ def encoder(path: str):
             import tiktoken
 
             fast = tiktoken.Encoding("file", pat_str=_SPLIT, mergeable_ranks={bytes(table[c] for c in k): v for k, v in vocab.items()}, special_tokens=special)
-            return lambda text: np.asarray(fast.encode_to_numpy(text, allowed_special="all"), "<u4")
-    from tokenizers import Tokenizer
 
-    slow = Tokenizer.from_file(path)
-    return lambda text: np.array(slow.encode(text, add_special_tokens=False).ids, "<u4")
+            def encode(text: str) -> np.ndarray:
+                try:
+                    return np.asarray(fast.encode_to_numpy(text, allowed_special="all"), "<u4")
+                except ValueError:
+                    return plainly(text)
+
+            return encode
+    return plainly
 
 
 class Capacities:
