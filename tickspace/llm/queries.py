@@ -49,7 +49,9 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = toxicity.train_model(docs, table(spark, sf_dir, "labels"), TRAIN)
     held = F.crc32(F.col("doc_id").cast("string")) % 5 == 0
-    return toxicity.score_documents(docs, model).select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    span = lambda x: F.concat_ws(":", x["start"].cast("string"), x["stop"].cast("string"))
+    scored = toxicity.score_documents(docs, model, spans_at=0.5)
+    return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), F.array_join(F.transform("spans", span), ",").alias("spans"))
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,14 +13,17 @@ learns weights for all features and the transitions from these tokens.
 
 The model is fitted on a bounded sample: at most ``per_class`` toxic and
 ``CLEAN`` times as many clean labelled rows with texts of at most ``max_chars``
-characters, taken by a hash of the id; it is a table of 2**BITS numbers whatever the corpus.  Every text is
-then scored whole, in one scan without a shuffle.
+characters, taken by a hash of the id.  Of their chains all that hold a toxic
+token and every ``clean_share``-th other one train the field; the layer is
+trained on all.  The model is a table of 2**BITS numbers whatever the corpus.
+Every text is then scored whole, in one scan without a shuffle.
 
 Defined cases: null, empty and wordless texts score as a text without toxic
 tokens; repeated rows get equal scores; label rows that are null in any field or
 have no document are no training rows; a doc_id labelled both ways is toxic;
-without any training rows all scores are 0; extra columns are ignored; an empty
-table gives an empty result.
+where the sample lacks toxic texts, clean texts or any words, nothing can be
+learnt and all scores are 0; extra columns are ignored; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
@@ -171,8 +174,10 @@ def _pick(texts: list[str | None], toxic: np.ndarray, precision: float = 0.98) -
     return np.union1d(picked, np.flatnonzero(able & (bad >= max(5, 0.5 * np.median(gains[: max(1, len(gains) // 2)])))))
 
 
-def fit(texts: list[str | None], toxic: np.ndarray, rounds: int = 40) -> Model:
-    """Model of texts and their flags; deterministic."""
+def fit(texts: list[str | None], toxic: np.ndarray, rounds: int = 40, clean_share: int = 16) -> Model:
+    """Model of texts and their flags; deterministic.  ``clean_share``: of the
+    chains of a block without a toxic token, the field learns from every so
+    manyth."""
     model = Model()
     if not len(texts) or not toxic.any() or toxic.all():
         return model
@@ -186,12 +191,14 @@ def fit(texts: list[str | None], toxic: np.ndarray, rounds: int = 40) -> Model:
         label = chosen[feats].any(1) & toxic[w.text + row]
         hot = np.zeros(int(chain[-1]) + 1, bool)  # chains with a toxic word, and a share of the others
         hot[chain[label]] = True
-        hot[:: 16] = True
+        hot[::clean_share] = True
         use = hot[chain]
         fs.append(feats[use])
         ys.append(label[use])
         cs.append(np.unique(chain[use], return_inverse=True)[1] + base)
         base = int(cs[-1][-1]) + 1
+    if not base:
+        return model
     f, y, c = np.concatenate(fs), np.concatenate(ys), np.concatenate(cs)
     first = np.searchsorted(c, np.arange(base))
     same = c[1:] == c[:-1]
@@ -240,8 +247,8 @@ def training_sample(docs: DataFrame, labels: DataFrame, train: str, per_class: i
     return [r["text"] for r in both], np.array([r["toxic"] for r in both], bool)
 
 
-def train_model(docs: DataFrame, labels: DataFrame, train: str = "true", per_class: int = 1200, max_chars: int = 12_000) -> Model:
-    return fit(*training_sample(docs, labels, train, per_class, max_chars))
+def train_model(docs: DataFrame, labels: DataFrame, train: str = "true", per_class: int = 1200, max_chars: int = 12_000, clean_share: int = 16) -> Model:
+    return fit(*training_sample(docs, labels, train, per_class, max_chars), clean_share=clean_share)
 
 
 def _score(model_b, spans_at: float | None):
