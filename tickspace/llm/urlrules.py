@@ -6,8 +6,9 @@ Such intervals nest or are disjoint, so one pass over a batch's keys in order,
 merged with the rules in order, keeps the rules whose intervals are open on a
 stack; the longest rule on it whose path begins the url's path wins.
 
-Rules go to the tasks in blocks of at most ``block_rules`` (a proven bound);
-each block is one sweep in the same scan, the longest winner stays.  Pages are
+Rules are a list of the driver's, of at most ``max_rules`` (checked: more are
+refused), and all go to the tasks, in blocks of ``block_rules``; each block is
+one sweep in the same scan, the longest winner stays.  Pages are
 sorted within their batch only: no shuffle, so hot hosts cost nothing extra.
 
 Defined cases: null urls and urls without ``://`` have empty host and path and
@@ -95,10 +96,12 @@ def _judge(blocks, default: str):
     return run
 
 
-def judge_urls(pages: DataFrame, rules: Iterable[tuple[str, str, str]], default: str = "allow", block_rules: int = 200_000, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+def judge_urls(pages: DataFrame, rules: Iterable[tuple[str, str, str]], default: str = "allow", block_rules: int = 200_000, max_rules: int = 2_000_000, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
     """page_id, host, path, rule, verdict of every row of ``pages``."""
     sc, blocks, part = pages.sparkSession.sparkContext, [], []
-    for rule in rules:
+    for n, rule in enumerate(rules):
+        if n >= max_rules:
+            raise ValueError(f"more than {max_rules} rules")
         part.append(tuple(rule))
         if len(part) == block_rules:
             blocks.append(sc.broadcast(Rules(part)))
