@@ -1,31 +1,44 @@
 """Exact top-k by inner product: the threshold algorithm on sorted lists.
 
-Vectors are held in blocks; a block has, for every dimension, its rows sorted
-by that component.  A query walks each dimension's list from the end that its
-own component favours.  At depth r every unseen row scores at most the sum of
-the products at depth r; as soon as that bound is below the kth score found, the
-walk stops.  Depths double, and rows seen are scored in one product.  The kth
-score of earlier blocks carries over to the next ones of the same task.
-
-Queries are packed in blocks of bounded size and meet every vector block in a
-join on the query block's number; the best k of each pair of blocks go to a
-ranking that is limited before its shuffle.  All arithmetic is exact: sums that
-could leave 2**53 are done in 64-bit integers.
+Vectors are held in blocks, a batch each; a block has, for every dimension, its
+rows sorted by that component.  Queries walk all lists from both ends.  At depth
+r every unseen row scores at most the sum, over the dimensions, of the query's
+component times the component at depth r of the end that it favours.  A query
+stops where that bound is below the kth score it has found, or where no row is
+unseen.  Depths double; rows are scored once, when first seen.  The kth score of
+earlier blocks carries over to the next ones of the same task.
+
+Queries are gathered in blocks of at most ``query_block`` rows, which are
+broadcast (a bound that is kept by counting them); every block is a scan of the
+vectors in place.  Nothing but the best k of each query and vector block is
+shuffled, and the ranking is limited before its shuffle.  Arithmetic is exact:
+scores that could leave 2**53 are summed as 64-bit integers and their bounds get
+a margin; where 64 bits may not do, the search fails rather than be wrong.
+
+How far the walk saves work depends on the data: with many dimensions of equal
+spread (unit vectors without structure) the bound falls slowly and most rows are
+seen before it stops (``walk`` measures both).
 
 Defined cases: vectors that are null or hold a null or a non-finite component
 take no part, nor do rows whose id is null; shorter vectors count as padded
-with zeros; rows that share a query's id are its own and are no candidates, and
-repeated rows are candidates each; a query without candidates has no rows.
+with zeros; rows that share a query's id are its own and are no candidates;
+repeated rows are candidates each, repeated query rows are one query, and
+different vectors under one query id are queries of their own, with five rows
+each; a query without candidates has no rows; an empty table gives none.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+LOW = -(1 << 62)
+
 
 def _matrix(column: pa.Array, scale: float) -> tuple[np.ndarray, np.ndarray]:
     """(row numbers that take part, their integer components)."""
@@ -48,23 +61,32 @@ def _pack(scale: float):
             ids = np.asarray(batch.column(0))
             ok, m = _matrix(batch.column(1), scale)
             if len(ok):
-                yield pa.RecordBatch.from_arrays([pa.array([m.shape[1]], pa.int32()), pa.array([ids[ok].astype("<i8").tobytes()], pa.binary()), pa.array([m.astype("<i8").tobytes()], pa.binary())], ["dims", "ids", "cells"])
+                yield pa.RecordBatch.from_arrays([pa.array([m.shape[1]], pa.int32()), pa.array([ids[ok].astype("<i8").tobytes()], pa.binary()), pa.array([m.astype("<f8").tobytes()], pa.binary())], ["dims", "ids", "cells"])
 
     return run
 
 
-def _pack_group(scale: float):
-    def run(key, table):
-        parts = [x for b in table.select(["id", "v"]).combine_chunks().to_batches() for x in _pack(scale)([b])]
-        kind = pa.schema([("dims", pa.int32()), ("ids", pa.binary()), ("cells", pa.binary())])
-        out = pa.Table.from_batches([pa.RecordBatch.from_arrays(p.columns, schema=kind) for p in parts], kind)
-        return out.append_column("q", pa.array([key[0].as_py()] * len(out), pa.int32()))
+def _query_blocks(packed: DataFrame, most: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Queries in runs of at most ``most``, one batch at a time at the driver."""
+    ids, rows, n = [], [], 0
 
-    return run
+    def close():
+        width = max(r.shape[1] for r in rows)
+        return np.concatenate(ids), np.concatenate([np.pad(r, ((0, 0), (0, width - r.shape[1]))) for r in rows])
 
-
-def _unpack(dims: int, ids: bytes, cells: bytes) -> tuple[np.ndarray, np.ndarray]:
-    return np.frombuffer(ids, "<i8"), np.frombuffer(cells, "<i8").reshape(-1, dims)
+    for dims, i, cells in packed.toLocalIterator():
+        i = np.frombuffer(i, "<i8")
+        m = np.frombuffer(cells, "<f8").reshape(len(i), dims)
+        for at in range(0, len(i), most):
+            part = slice(at, at + most)
+            if n and n + len(i[part]) > most:
+                yield close()
+                ids, rows, n = [], [], 0
+            ids.append(i[part])
+            rows.append(m[part])
+            n += len(i[part])
+    if n:
+        yield close()
 
 
 class Lists:
@@ -75,74 +97,80 @@ class Lists:
         self.order = np.argsort(rows, axis=0, kind="stable")
         self.sorted = np.take_along_axis(rows, self.order, 0)
 
-    def top(self, query_ids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray) -> tuple[list, dict]:
-        """Rows (query number, vector row, score): at least the best k of each
-        query that may rank (score above ``floor``, ties included)."""
-        n, d = self.rows.shape
-        d = min(d, queries.shape[1])
-        q, rows, srt = queries[:, :d], self.rows[:, :d], self.sorted[:, :d]
-        exact = float(np.abs(q).max(initial=0)) * float(np.abs(rows).max(initial=0)) * max(d, 1) < 2**53
-        kind = np.float64 if exact else np.int64
-        q, rows = q.astype(kind), rows.astype(kind)
-        if not exact:  # bounds in floating point would not be safe: score all
-            out = []
-            for i, x in enumerate(q):
-                score, other = rows @ x, np.flatnonzero(self.ids != query_ids[i])
-                out += [(i, int(j), int(score[j])) for j in other[np.lexsort((self.ids[other], -score[other]))[:k]]]
-            return out, floor
+    def top(self, query_ids: np.ndarray, queries: np.ndarray, k: int, floor: np.ndarray, walk: list | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(query number, vector id, score) of the best k of each query that
+        may rank (score at least ``floor``), and the new floors.  ``walk`` gets
+        (depth, rows scored, queries that stopped by their bound) a step."""
+        n = len(self.rows)
+        d = min(self.rows.shape[1], queries.shape[1])
+        q, rows, lists = queries[:, :d], self.rows[:, :d], self.sorted[:, :d]
+        most = float(np.abs(q).max(initial=0)) * float(np.abs(rows).max(initial=0)) * max(d, 1)
+        if most >= 2**62:
+            raise OverflowError("scores beyond 64-bit integers")
+        kind = np.float64 if most < 2**53 else np.int64
+        margin = 0.0 if most < 2**53 else most * 1e-12
+        exact, cells = q.astype(kind), rows.astype(kind)
         up, down = np.maximum(q, 0), np.minimum(q, 0)
-        out, waiting, depth = [], np.arange(len(q)), min(n, max(2 * k, 8))
-        found = floor.copy()
-        while len(waiting):
-            if depth * 2 * d >= n:  # the lists' heads hold most of the block
-                depth, seen = n, np.arange(n)
-            else:
-                seen = np.unique(np.concatenate([self.order[:depth, :d].ravel(), self.order[n - depth :, :d].ravel()]))
-            score = q[waiting] @ rows[seen].T
-            score = np.where(query_ids[waiting][:, None] == self.ids[seen][None, :], -np.inf, score)
-            kth = np.partition(score, -k, axis=1)[:, -k] if len(seen) >= k else np.full(len(waiting), -np.inf)
-            low = np.maximum(kth, found[waiting])
-            bound = up[waiting] @ srt[n - depth].astype(kind) + down[waiting] @ srt[depth - 1].astype(kind)
-            stop = (bound < low) | (depth == n)
-            for i in np.flatnonzero(stop):
-                j = np.flatnonzero((score[i] >= low[i]) & (query_ids[waiting[i]] != self.ids[seen]))
-                if len(j) > k:
-                    j = j[np.lexsort((self.ids[seen[j]], -score[i, j]))[:k]]
-                out += [(int(waiting[i]), int(seen[x]), int(score[i, x])) for x in j]
-                found[waiting[i]] = low[i]
+        seen = np.zeros(n, bool)
+        kth = floor.copy()
+        kept = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        waiting, depth = np.arange(len(q)), min(n, max(2 * k, 8))
+        while len(waiting) and not seen.all():
+            fresh = np.zeros(n, bool)
+            fresh[self.order[:depth, :d].ravel()] = True
+            fresh[self.order[n - depth :, :d].ravel()] = True
+            if not d:
+                fresh[:] = True
+            new = np.flatnonzero(fresh & ~seen)
+            seen |= fresh
+            score = (exact[waiting] @ cells[new].T).astype(np.int64)
+            score[query_ids[waiting][:, None] == self.ids[new][None, :]] = LOW
+            least = kth[waiting]
+            if len(new) > k:
+                least = np.maximum(least, np.partition(score, len(new) - k, axis=1)[:, len(new) - k])
+            a, b = np.nonzero((score >= least[:, None]) & (score > LOW))
+            one = np.concatenate([kept[0], waiting[a]]), np.concatenate([kept[1], self.ids[new[b]]]), np.concatenate([kept[2], score[a, b]])
+            order = np.lexsort((one[1], -one[2], one[0]))
+            of = one[0][order]
+            rank = np.arange(len(of)) - np.searchsorted(of, of)
+            order = order[rank < k]
+            kept = tuple(c[order] for c in one)
+            last = rank[rank < k] == k - 1
+            kth[kept[0][last]] = np.maximum(kth[kept[0][last]], kept[2][last])
+            bound = up[waiting] @ lists[n - depth] + down[waiting] @ lists[depth - 1] + margin
+            stop = bound < kth[waiting]
+            if walk is not None:
+                walk.append((depth, len(new), int(stop.sum())))
             waiting = waiting[~stop]
             depth = min(n, depth * 2)
-        return out, found
+        return *kept, kth
 
 
-def _search(k: int):
+def _search(k: int, scale: float, block_b):
     def run(batches):
-        floors: dict = {}
+        ids, queries, floor = *block_b.value, None
         for batch in batches:
-            for q, vd, vi, vc, qd, qi, qc in zip(*(c.to_pylist() for c in batch.columns)):
-                ids, queries = _unpack(qd, qi, qc)
-                lists = Lists(*_unpack(vd, vi, vc))
-                floor = floors.get(q)
-                if floor is None or len(floor) != len(ids):
-                    floors.clear()
-                    floor = np.full(len(ids), -np.inf)
-                got, floors[q] = lists.top(ids, queries, k, floor)
-                if got:
-                    a, b, s = (np.array(x, np.int64) for x in zip(*got))
-                    yield pa.RecordBatch.from_arrays([pa.array(ids[a]), pa.array(lists.ids[b]), pa.array(s)], ["query_id", "vec_id", "score"])
+            ok, m = _matrix(batch.column(1), scale)
+            if not len(ok):
+                continue
+            floor = np.full(len(ids), LOW + 1) if floor is None else floor
+            a, b, s, floor = Lists(np.asarray(batch.column(0))[ok], m).top(ids, queries, k, floor)
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(ids[a]), pa.array(a), pa.array(b), pa.array(s)], ["query_id", "number", "vec_id", "score"])
 
     return run
 
 
-def exact_top_k(vectors: DataFrame, is_query: str, k: int = 5, scale: float = 256.0, query_block: int = 4096, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+def exact_top_k(vectors: DataFrame, is_query: str, k: int = 5, scale: float = 256.0, query_block: int = 32_768, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score) for the rows that fulfil ``is_query``
     (SQL over the column ``id``), against all rows."""
     src = vectors.select(F.col(id_col).cast("bigint").alias("id"), F.col(vector_col).alias("v")).where("id is not null")
-    queries = src.where(is_query)
-    blocks = queries.count() // query_block + 1
-    packed_q = queries.withColumn("q", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")).groupBy("q").applyInArrow(_pack_group(scale), "dims int, ids binary, cells binary, q int").toDF("qd", "qi", "qc", "q")
-    packed_v = src.mapInArrow(_pack(scale), "dims int, ids binary, cells binary").select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("q"), F.col("dims").alias("vd"), F.col("ids").alias("vi"), F.col("cells").alias("vc"))
-    pairs = packed_v.join(packed_q, "q").select("q", "vd", "vi", "vc", "qd", "qi", "qc")
-    best = pairs.mapInArrow(_search(k), "query_id bigint, vec_id bigint, score bigint")
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    packed = src.where(is_query).dropDuplicates(["id", "v"]).mapInArrow(_pack(scale), "dims int, ids binary, cells binary")
+    sc, best = vectors.sparkSession.sparkContext, None
+    for n, block in enumerate(_query_blocks(packed, query_block)):
+        one = src.mapInArrow(_search(k, scale, sc.broadcast(block)), "query_id bigint, number bigint, vec_id bigint, score bigint").withColumn("block", F.lit(n))
+        best = one if best is None else best.unionByName(one)
+    if best is None:
+        return vectors.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score bigint")
+    order = Window.partitionBy("query_id", "block", "number").orderBy(F.desc("score"), "vec_id")
     return best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
