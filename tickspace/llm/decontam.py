@@ -8,11 +8,16 @@ right while the words agree, up to ``window`` words each way, and counts where
 the span reaches ``window`` words; longer shared spans are the union of these.
 Items of fewer words are looked up whole.
 
-The benchmark side is broadcast in blocks of at most ``block_words`` words (a
-proven bound: blocks are cut by a running sum).  A benchmark within one block,
-the usual case, needs a single scan of the documents and no shuffle; a larger
-one takes a scan a block, over rows numbered and written once, whose hits are
-united per row.
+The benchmark side is broadcast in blocks of at most ``block_words`` words: items
+are cut, where they are tokenised, into pieces of no more (a piece repeats the
+last words of the one before, so no window is lost), and pieces are put together
+up to that number as they arrive.  A benchmark within one block, the usual case,
+needs a single scan of the documents and no shuffle; a larger one takes a scan a
+block, over rows numbered and written once, whose hits are united per row.
+
+Of places of one item that agree in all words which an extension may look at one
+is indexed, and matches are extended ``PAIRS`` at a time, overlapping spans being
+united: texts and items that repeat one word cost no more memory than others.
 
 Defined cases: null, empty or wordless texts have no words and are clean;
 wordless items never occur; repeated item ids count once; repeated rows are
@@ -22,6 +27,7 @@ judged each; extra columns are ignored; empty tables give empty results.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +35,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import bounded, materialise
-from .textkernel import NON_ALNUM, U, buffers, chunks, grams, words
+from .textkernel import NON_ALNUM, U, buffers, chunks, grams, mix, span, sums, words
+
+PAIRS = 1 << 20  #: matches that are extended at once
 
 
 def winnow(h: np.ndarray, text: np.ndarray, k: int, w: int) -> tuple[np.ndarray, np.ndarray]:
@@ -59,6 +67,13 @@ class Index:
         self.hash, self.item = found.hash, found.text
         self.first = found.first(len(ids))
         at, g = winnow(self.hash, self.item, k, self.w)
+        if len(at):
+            left = np.maximum(self.first[self.item[at]], at - window)
+            right = np.minimum(self.first[self.item[at] + 1], at + window)
+            with np.errstate(over="ignore"):
+                place = mix(span(sums(self.hash), left, right, 41) ^ mix((at - left).astype(U) * U(1 << 20) + (right - at).astype(U), 42), 43) ^ mix(self.item[at].astype(U), 44)
+            one = np.sort(np.unique(place, return_index=True)[1])
+            at, g = at[one], g[one]
         order = np.argsort(g, kind="stable")
         self.at, self.print = at[order], g[order]
         size = np.diff(self.first)
@@ -70,57 +85,105 @@ class Index:
                 order = np.argsort(key, kind="stable")
                 self.short[m] = (key[order], rows[order])
 
-    def _matches(self, keys: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """All (i, j) with keys[i] == table[j], table being sorted."""
+    def _matches(self, keys: np.ndarray, table: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """All (i, j) with keys[i] == table[j], table being sorted; runs of
+        about ``PAIRS`` of them."""
+        if not len(table):
+            return
         lo = np.searchsorted(table, keys, "left")
-        some = np.flatnonzero((lo < len(table)) & (table[np.minimum(lo, len(table) - 1)] == keys)) if len(table) else np.zeros(0, np.int64)
+        some = np.flatnonzero((lo < len(table)) & (table[np.minimum(lo, len(table) - 1)] == keys))
         lo = lo[some]
         n = np.searchsorted(table, keys[some], "right") - lo
-        i = np.repeat(some, n)
-        return i, np.repeat(lo, n) + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
+        total = np.append(0, np.cumsum(n))
+        row = 0
+        while row < len(some):
+            end = max(row + 1, int(np.searchsorted(total, total[row] + PAIRS, "right")) - 1)
+            m, part = n[row:end], slice(row, end)
+            i = np.repeat(some[part], m)
+            yield i, np.repeat(lo[part], m) + np.arange(len(i)) - np.repeat(total[row:end] - total[row], m)
+            row = end
 
-    def spans(self, h: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(first word, end word, item) of every shared span found in h."""
-        out = []
+    def _extended(self, h: np.ndarray, text: np.ndarray, p: np.ndarray, q: np.ndarray) -> np.ndarray:
+        """(first word, end word, item) of the k-gram matches (p, q) that reach
+        ``window`` words.  A window further each way reaches every window that
+        holds the match."""
+        left, right = np.zeros(len(p), np.int64), np.full(len(p), self.k, np.int64)
+        for step, edge in ((left, 0), (right, 1)):
+            live = np.arange(len(p))
+            while len(live):
+                a = p[live] + (step[live] if edge else -step[live] - 1)
+                b = q[live] + (step[live] if edge else -step[live] - 1)
+                ok = (a >= 0) & (a < len(h)) & (b >= 0) & (b < len(self.hash))
+                a, b, live = a[ok], b[ok], live[ok]
+                ok = (h[a] == self.hash[b]) & (text[a] == text[p[live]]) & (self.item[b] == self.item[q[live]])
+                live = live[ok]
+                step[live] += 1
+                live = live[step[live] < self.window]
+        long = (h[p] == self.hash[q]) & (left + right >= self.window)
+        return np.stack([p[long] - left[long], p[long] + right[long], self.item[q[long]]])
+
+    def spans(self, h: np.ndarray, text: np.ndarray) -> np.ndarray:
+        """(first word, end word, item) of the shared spans in h, spans of one
+        text and item that overlap or touch being one."""
+        out = [np.zeros((3, 0), np.int64)]
         at, g = winnow(h, text, self.k, self.w)
-        i, j = self._matches(g, self.print)
-        p, q = at[i], self.at[j]
-        if len(p):  # a window further each way reaches every window that holds the hit
-            left, right = np.zeros(len(p), np.int64), np.full(len(p), self.k, np.int64)
-            for step, edge, sign in ((left, 0, -1), (right, 1, 1)):
-                live = np.arange(len(p))
-                while len(live):
-                    a = p[live] + (step[live] if edge else -step[live] - 1)
-                    b = q[live] + (step[live] if edge else -step[live] - 1)
-                    ok = (a >= 0) & (a < len(h)) & (b >= 0) & (b < len(self.hash))
-                    a, b, live = a[ok], b[ok], live[ok]
-                    ok = (h[a] == self.hash[b]) & (text[a] == text[p[live]]) & (self.item[b] == self.item[q[live]])
-                    live = live[ok]
-                    step[live] += 1
-                    live = live[step[live] < self.window]
-            exact = h[p] == self.hash[q]
-            long = exact & (left + right >= self.window)
-            out.append((p[long] - left[long], p[long] + right[long], self.item[q[long]]))
+        for i, j in self._matches(g, self.print):
+            out.append(_united(self._extended(h, text, at[i], self.at[j]), text))
         for m, (keys, rows) in self.short.items():
             g = grams(h, m)
-            inside = text[: len(g)] == text[m - 1 :] if len(g) else np.zeros(0, bool)
-            i, j = self._matches(g[inside], keys)
-            a = np.flatnonzero(inside)[i]
-            out.append((a, a + m, rows[j]))
-        return tuple(np.concatenate(c) for c in zip(*out)) if out else (np.zeros(0, np.int64),) * 3
+            inside = np.flatnonzero(text[: len(g)] == text[m - 1 :] if len(g) else np.zeros(0, bool))
+            for i, j in self._matches(g[inside], keys):
+                out.append(_united(np.stack([inside[i], inside[i] + m, rows[j]]), text))
+        return _united(np.concatenate(out, 1), text)
+
+
+def _united(spans: np.ndarray, text: np.ndarray) -> np.ndarray:
+    if not spans.shape[1]:
+        return spans
+    a, b, item = spans[:, np.lexsort((spans[0], spans[2], text[spans[0]]))]
+    of = text[a]
+    group = np.cumsum(np.append(True, (item[1:] != item[:-1]) | (of[1:] != of[:-1]))) - 1
+    reach = np.maximum.accumulate(b + group * (len(text) + 1)) - group * (len(text) + 1)  # a group's ends only
+    new = np.append(True, (group[1:] != group[:-1]) | (a[1:] > reach[:-1]))
+    last = np.append(np.flatnonzero(new)[1:], len(a)) - 1
+    return np.stack([a[new], reach[last], item[new]])
+
+
+def _pieces(window: int, block_words: int):
+    def run(batches):
+        for batch in batches:
+            ids, texts, sizes = [], [], []
+            for row, end, data, off in chunks(batch.column(1)):
+                w = words(data, off, NON_ALNUM)
+                first = w.first(end - row)
+                for t in range(end - row):
+                    lo, n = int(first[t]), int(first[t + 1] - first[t])
+                    for at in range(0, max(n - window + 1, 1) if n else 0, block_words):
+                        last = min(at + block_words + window - 1, n)
+                        ids.append(row + t)
+                        texts.append(data[w.start[lo + at] : w.end[lo + last - 1]].tobytes().decode())
+                        sizes.append(last - at)
+            if ids:
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(ids)), pa.array(texts, pa.string()), pa.array(sizes, pa.int64())], ["i", "t", "n"])
+
+    return run
 
 
-def _blocks(benchmark: DataFrame, item_col: str, text_col: str, window: int, k: int, block_words: int) -> list[Index]:
-    """Indexes of bounded size.  Characters bound words from above, so blocks
-    are cut by a running sum of lengths, a few numbers an item."""
+def _blocks(benchmark: DataFrame, item_col: str, text_col: str, window: int, k: int, block_words: int) -> Iterator[Index]:
+    """Indexes of at most ``block_words`` words (and a window), one at a time:
+    the benchmark passes through the driver and is never there as a whole."""
     items = benchmark.select(F.col(item_col).alias("i"), F.col(text_col).alias("t")).where("i is not null")
-    total = items.agg(F.sum(F.length("t") / 2 + 1)).first()[0] or 0
-    n = int(total // block_words) + 1
-    if n == 1:
-        rows = items.collect()  # at most block_words words
-        return [Index([r.i for r in rows], [r.t for r in rows], window, k)] if rows else []
-    items = items.withColumn("b", F.pmod(F.xxhash64("i", "t"), F.lit(n)))
-    return [Index([r.i for r in rows], [r.t for r in rows], window, k) for b in range(n) if (rows := items.where(F.col("b") == b).collect())]
+    pieces = bounded(items).mapInArrow(_pieces(window, block_words), f"i {items.schema['i'].dataType.simpleString()}, t string, n bigint")
+    ids, texts, held = [], [], 0
+    for r in pieces.toLocalIterator():
+        if held and held + r["n"] > block_words:
+            yield Index(ids, texts, window, k)
+            ids, texts, held = [], [], 0
+        ids.append(r["i"])
+        texts.append(r["t"])
+        held += r["n"]
+    if ids:
+        yield Index(ids, texts, window, k)
 
 
 def _kernel(index_b):
@@ -138,7 +201,7 @@ def _kernel(index_b):
                 of = w.text[a]
                 for t in np.unique(of):
                     mine = of == t
-                    spans[row + t] = np.unique(np.stack([a[mine] - first[t], b[mine] - first[t], item[mine]], 1), axis=0).tolist()
+                    spans[row + t] = np.stack([a[mine] - first[t], b[mine] - first[t], item[mine]], 1).tolist()
             rows = [None if s is None else [{"a": a, "b": b, "item": str(index.ids[i])} for a, b, i in s] for s in spans]
             kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32()), ("item", pa.string())]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n_words), pa.array(rows, kind)], ["doc_id", "n_words", "spans"])
@@ -149,35 +212,44 @@ def _kernel(index_b):
 def contaminated_spans(docs: DataFrame, benchmark: DataFrame, window: int = 10, k: int = 5, block_words: int = 4_000_000, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """(doc_id, n_words, spans) of every document; spans: word positions
     [a, b) that ``item`` shares, null where there are none."""
-    if not 1 <= k <= window:
-        raise ValueError("k must lie between 1 and window")
     src = bounded(docs).select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     kind = f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words bigint, spans array<struct<a:int,b:int,item:string>>"
-    sc = docs.sparkSession.sparkContext
-    blocks = _blocks(benchmark, item_col, item_text_col, window, k, block_words) or [None]
+    blocks = _broadcast(docs, benchmark, item_col, item_text_col, window, k, block_words)
     if len(blocks) == 1:
-        return src.mapInArrow(_kernel(sc.broadcast(blocks[0])), kind)
+        return src.mapInArrow(_kernel(blocks[0]), kind)
     src = bounded(materialise(src.select(F.struct("doc_id", F.monotonically_increasing_id().alias("row")).alias("doc_id"), "text"), "rows"))
     part = f"doc_id {src.schema['doc_id'].dataType.simpleString()}, n_words bigint, spans array<struct<a:int,b:int,item:string>>"
     every = None
     for block in blocks:
-        one = src.mapInArrow(_kernel(sc.broadcast(block)), part)
+        one = src.mapInArrow(_kernel(block), part)
         if every is not None:
             one = one.where("spans is not null")
         every = one if every is None else every.unionByName(one)
     return every.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("spans")).alias("spans")).select("doc_id.doc_id", "n_words", F.when(F.size("spans") > 0, F.col("spans")).alias("spans"))
 
 
+def _broadcast(docs: DataFrame, benchmark: DataFrame, item_col: str, text_col: str, window: int, k: int, block_words: int) -> list:
+    if not 1 <= k <= window:
+        raise ValueError("k must lie between 1 and window")
+    sc = docs.sparkSession.sparkContext
+    return [sc.broadcast(b) for b in _blocks(benchmark, item_col, text_col, window, k, block_words)] or [sc.broadcast(None)]
+
+
+def _hits(spans: list[dict] | None) -> int:
+    """Words that the spans cover."""
+    covered, last = 0, 0
+    for a, b in sorted((s["a"], s["b"]) for s in spans or ()):
+        covered += max(0, b - max(a, last))
+        last = max(last, b)
+    return covered
+
+
 def _digest(batches):
     for batch in batches:
         hit, count, sha = [], [], []
         for spans in batch.column(2).to_pylist():
-            covered, last = 0, 0
-            for a, b in sorted((s["a"], s["b"]) for s in spans or ()):
-                covered += max(0, b - max(a, last))
-                last = max(last, b)
             items = sorted({s["item"] for s in spans or ()})
-            hit.append(covered)
+            hit.append(_hits(spans))
             count.append(len(items))
             sha.append(hashlib.sha256(",".join(items).encode()).hexdigest())
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(hit, pa.int64()), pa.array(count, pa.int64()), pa.array(sha), pa.array([h > 0 for h in hit], pa.bool_())], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
@@ -189,7 +261,29 @@ def decontamination_report(docs: DataFrame, benchmark: DataFrame, **options) ->
     return spans.mapInArrow(_digest, f"doc_id {kind}, n_words bigint, n_hit bigint, n_items bigint, items_sha256 string, contaminated boolean")
 
 
-def remove_contaminated(docs: DataFrame, benchmark: DataFrame, max_share: float = 0.0, id_col: str = "doc_id", **options) -> DataFrame:
-    """``docs`` without those of whose words more than ``max_share`` are hit."""
-    bad = decontamination_report(docs, benchmark, id_col=id_col, **options).where((F.col("n_hit") > F.col("n_words") * max_share) & (F.col("n_hit") > 0)).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, docs[id_col].eqNullSafe(bad["_bad"]), "left_anti")
+def _clean(block, at: int, max_share: float):
+    scan = _kernel(block)
+
+    def run(batches):
+        for batch in batches:
+            for judged in scan([pa.RecordBatch.from_arrays([pa.nulls(batch.num_rows), batch.column(at)], ["doc_id", "text"])]):
+                hit = [_hits(s) for s in judged.column(2).to_pylist()]
+                yield batch.filter(pa.array([not h or h <= n * max_share for h, n in zip(hit, judged.column(1).to_pylist())], pa.bool_()))
+
+    return run
+
+
+def remove_contaminated(docs: DataFrame, benchmark: DataFrame, max_share: float = 0.0, window: int = 10, k: int = 5, block_words: int = 4_000_000, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
+    """``docs`` without the rows of whose words more than ``max_share`` are hit;
+    each row is judged by its own text.  One scan where the benchmark is one
+    block; else the rows are numbered, written, and the hit ones taken out."""
+    names = docs.columns
+    plain = bounded(docs).toDF(*[f"c{i}" for i in range(len(names))])
+    blocks = _broadcast(docs, benchmark, item_col, item_text_col, window, k, block_words)
+    at = names.index(text_col)
+    if len(blocks) == 1:
+        return plain.mapInArrow(_clean(blocks[0], at, max_share), plain.schema).toDF(*names)
+    rows = materialise(plain.withColumn("row", F.monotonically_increasing_id()), "rows")
+    report = decontamination_report(rows, benchmark, window=window, k=k, block_words=block_words, id_col="row", text_col=f"c{at}", item_col=item_col, item_text_col=item_text_col)
+    bad = materialise(report.where((F.col("n_hit") > F.col("n_words") * max_share) & (F.col("n_hit") > 0)).select(F.col("doc_id").alias("row")), "hit")
+    return rows.join(bad, "row", "left_anti").select(*plain.columns).toDF(*names)

@@ -180,3 +180,25 @@ def grams(h: np.ndarray, k: int) -> np.ndarray:
         for i in range(k):
             out += h[i : i + n] * U(_GRAM[i])
         return mix(out, k)
+
+
+_ODD, _ODD_INV = 0xD6E8FEB86659FD93, pow(0xD6E8FEB86659FD93, -1, 1 << 64)
+
+
+def sums(values: np.ndarray, like: tuple | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Running polynomial sum, the inverse powers and the powers, for hashes of
+    any span; ``like``: sums of as many values, whose powers are taken over."""
+    m = len(values)
+    with np.errstate(over="ignore"):
+        power = np.cumprod(np.full(m, _ODD, U), dtype=U) if like is None else like[2]
+        back = np.cumprod(np.full(m + 1, _ODD_INV, U), dtype=U) if like is None else like[1]
+        total = np.zeros(m + 1, U)
+        np.cumsum(values * power, out=total[1:])
+    return total, back, power
+
+
+def span(of: tuple, first: np.ndarray, last: np.ndarray, salt: int) -> np.ndarray:
+    """Hashes of the values first..last - 1, the same wherever they stand."""
+    total, back, _ = of
+    with np.errstate(over="ignore"):
+        return mix((total[last] - total[first]) * back[first], salt)
