@@ -2,13 +2,25 @@
 
 A text's records are its lines, long lines being cut after sentence ends (a
 passage copied into the middle of a line is then a run of records too).  The
-tree has fixed depth: token count, then the leading tokens, then the rest of
-the template; tokens that hold a digit are variable fields and generalise to
-one wildcard at every level.  The path is hashed into one key, so a template is
-one group of a distributed aggregation and no task walks the tree alone.
+tree has fixed depth: token count, then the ``DEPTH`` leading tokens, then a leaf.
+Tokens that hold a digit are variable fields and generalise to one wildcard at
+every level, in records of which they are at most half (rows of numbers are not
+one template, but compared as they are).  A record's templates are its path and,
+below the leaf,
+
+* all further tokens;
+* for whole lines of at least ``merge_tokens`` tokens, a quarter of the further
+  ones at most with digits, besides, one half of the further tokens (the first, the second, those at even or those at odd places):
+  records of one leaf that agree in such a half are one template, in which the
+  places of the other half where they differ are wildcards.  They agree in more
+  than half of their places, whatever fills the rest.
+
+A path is hashed into one key, so a template is one group of a distributed
+aggregation and no task walks the tree, or holds a leaf, alone.
 
 A template recurs when at least ``min_docs`` documents have it (``short_docs``
-where it has fewer than ``long_tokens`` tokens; records of fewer than
+where it has fewer than ``long_tokens`` tokens, ``merge_docs`` where it has
+wildcards for tokens without digits; records of fewer than
 ``min_tokens`` tokens never do alone).  The document with the smallest id keeps
 its records of the template, all other documents lose theirs.
 
@@ -26,10 +38,9 @@ Characters of scripts without blanks are tokens of their own.  n_dropped counts
 records of which no word is left.  A cut from within a line to its end keeps the
 line break.
 
-Shuffles: a few numbers a record, group and mark, pre-aggregated a task for the
-counts; the joins back split hot templates; the run hashes of texts with shared
-marks; texts move once to meet their dropped records, those with shared marks
-once more to meet their cut runs.
+Shuffles: a few numbers a record, group and mark, written once and pre-aggregated
+a task for the counts; the joins back split hot templates; texts move once to
+meet their shared marks, which only some have, and once to meet what they lose.
 
 Defined cases: null text stays null, empty text stays empty; repeated rows
 under one id count as documents of their own and share their fate; a null id
@@ -48,47 +59,50 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import bounded, materialise
-from .textkernel import BLANKS, U, Words, chunks, mix, script_cuts, words
+from .shared import bounded, materialise, remove, shared_dir
+from .textkernel import BLANKS, U, Words, chunks, mix, script_cuts, span, sums, words
 
-DEPTH = 3  #: leading tokens that are levels of the tree of their own
+DEPTH = 2  #: leading tokens that are levels of the tree of their own
 _STOPS = np.zeros(256, bool)
 _STOPS[[33, 46, 63]] = True
 _DIGIT = np.zeros(256, np.int32)
 _DIGIT[48:58] = 1
 _WILD = U(0x2A2A2A2A2A2A2A2A)
-_ODD, _ODD_INV = 0xD6E8FEB86659FD93, pow(0xD6E8FEB86659FD93, -1, 1 << 64)
-
-
-def _sums(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Running polynomial sum and the inverse powers, for hashes of any span."""
-    m = len(values)
-    with np.errstate(over="ignore"):
-        power = np.cumprod(np.full(m, _ODD, U), dtype=U)
-        back = np.cumprod(np.full(m + 1, _ODD_INV, U), dtype=U)
-        total = np.zeros(m + 1, U)
-        np.cumsum(values * power, out=total[1:])
-    return total, back
-
-
-def _span(sums: tuple[np.ndarray, np.ndarray], first: np.ndarray, last: np.ndarray, salt: int) -> np.ndarray:
-    total, back = sums
-    with np.errstate(over="ignore"):
-        return mix((total[last] - total[first]) * back[first], salt)
 
 
 @dataclass
 class Records:
     """Of every record: text row, number within the text, first word, end word,
-    template key; and the words, and the words' sums with wildcards."""
+    key of the leaf, whether it may be merged; and the words, the tokens
+    (wildcards for those with digits) and their sums."""
 
     text: np.ndarray
     number: np.ndarray
     first: np.ndarray
     last: np.ndarray
-    key: np.ndarray
+    leaf: np.ndarray
+    line: np.ndarray
     words: Words
-    sums: tuple[np.ndarray, np.ndarray]
+    tokens: np.ndarray
+    sums: tuple
+
+    def keys(self) -> np.ndarray:
+        """Templates of all tokens."""
+        return mix(self.leaf ^ span(self.sums, self.first, self.last, 20), 21)
+
+    def merged(self, merge_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+        """(record, key) of the templates of half the tokens below the leaf."""
+        some = np.flatnonzero(self.line & (self.last - self.first >= max(merge_tokens, DEPTH + 2)))
+        if not len(some):
+            return some, np.zeros(0, U)
+        below, last, leaf = self.first[some] + DEPTH, self.last[some], self.leaf[some]
+        middle = below + (last - below + 1) // 2
+        at = np.arange(len(self.tokens)) % 2
+        by = [sums(np.where(at == x, self.tokens, U(0)), self.sums) for x in (0, 1)]
+        parity = [span(x, below, last, 25) for x in by]
+        turned = below % 2 == 1
+        halves = [span(self.sums, below, middle, 26), span(self.sums, middle, last, 27), np.where(turned, parity[1], parity[0]), np.where(turned, parity[0], parity[1])]
+        return np.tile(some, 4), np.concatenate([mix(leaf ^ mix(h, 28 + i), 40) for i, h in enumerate(halves)])
 
 
 def records(data: np.ndarray, off: np.ndarray) -> Records:
@@ -96,26 +110,28 @@ def records(data: np.ndarray, off: np.ndarray) -> Records:
     m = len(w.start)
     if not m:
         z = np.zeros(0, np.int64)
-        return Records(z, z, z, z, np.zeros(0, U), w, _sums(np.zeros(0, U)))
+        return Records(z, z, z, z, np.zeros(0, U), z.astype(bool), w, np.zeros(0, U), sums(np.zeros(0, U)))
     breaks = np.zeros(len(data) + 1, np.int32)
     np.cumsum(data == 10, out=breaks[1:])
-    opens = np.empty(m, bool)
-    opens[0] = True
-    opens[1:] = (w.text[1:] != w.text[:-1]) | (breaks[w.start[1:]] > breaks[w.end[:-1]]) | _STOPS[data[w.end[:-1] - 1]]
+    lines = np.ones(m, bool)
+    lines[1:] = (w.text[1:] != w.text[:-1]) | (breaks[w.start[1:]] > breaks[w.end[:-1]])
+    opens = lines.copy()
+    opens[1:] |= _STOPS[data[w.end[:-1] - 1]]
     digits = np.zeros(len(data) + 1, np.int32)
     np.cumsum(_DIGIT[data], out=digits[1:])
-    tokens = np.where(digits[w.end] > digits[w.start], _WILD, w.hash)
+    field = digits[w.end] > digits[w.start]
     first = np.flatnonzero(opens)
     last = np.append(first[1:], m)
     count = last - first
-    sums = _sums(tokens)
+    fields = np.add.reduceat(field.astype(np.int64), first)
+    tokens = np.where(field & np.repeat(2 * fields <= count, count), _WILD, w.hash)
+    line = lines[first] & np.append(lines[last[:-1]], True) & (4 * fields <= count - DEPTH)
     key = mix(count.astype(U), 11)  # level 1: token count
     for d in range(DEPTH):  # next levels: leading tokens
         key = mix(key ^ np.where(count > d, tokens[np.minimum(first + d, m - 1)], U(0)), 12 + d)
-    key = mix(key ^ _span(sums, first, last, 20), 21)  # leaf: the whole template
     text = w.text[first]
     number = np.arange(len(first)) - np.searchsorted(text, text)
-    return Records(text, number, first, last, key, w, sums)
+    return Records(text, number, first, last, key, line, w, tokens, sums(tokens))
 
 
 def _groups(r: Records, long_tokens: int) -> tuple[np.ndarray, np.ndarray]:
@@ -135,83 +151,98 @@ def _marks(w: Words, run_tokens: int) -> tuple[np.ndarray, np.ndarray, tuple]:
     """(first word, mark) of every run of ``run_tokens`` words of one text, and
     the words' sums; the mark is the smallest hash of the run's k-grams."""
     k = max(1, run_tokens // 3)
-    sums = _sums(w.hash)
+    of = sums(w.hash)
     n = len(w.hash) - run_tokens + 1
     if n <= 0:
-        return np.zeros(0, np.int64), np.zeros(0, U), sums
+        return np.zeros(0, np.int64), np.zeros(0, U), of
     at = np.arange(len(w.hash) - k + 1)
-    low, span, width = _span(sums, at, at + k, 31), 1, run_tokens - k + 1
-    while span < width:
-        step = min(span, width - span)
+    low, wide, width = span(of, at, at + k, 31), 1, run_tokens - k + 1
+    while wide < width:
+        step = min(wide, width - wide)
         low = np.minimum(low[:-step], low[step:])
-        span += step
+        wide += step
     inside = np.flatnonzero(w.text[:n] == w.text[run_tokens - 1 :])
-    return inside, low[inside], sums
+    return inside, low[inside], of
+
 
+@dataclass(frozen=True)
+class Needs:
+    """What makes a template recur."""
 
-def _emit(min_tokens: int, long_tokens: int, run_tokens: int):
+    min_docs: int = 2
+    min_tokens: int = 3
+    long_tokens: int = 8
+    short_docs: int = 5
+    merge_docs: int = 3
+    merge_tokens: int = 7
+    run_tokens: int = 50
+
+
+def _emit(needs: Needs):
     def run(batches):
         for batch in batches:
             ids, hashes = batch.column(0), np.asarray(batch.column(1))
             for row, end, data, off in chunks(batch.column(2)):
                 r = records(data, off)
                 count = r.last - r.first
-                ok = count >= min_tokens
-                a, b = _groups(r, long_tokens)
-                at, mark, _ = _marks(r.words, run_tokens)
+                ok = np.flatnonzero(count >= needs.min_tokens)
+                a, b = _groups(r, needs.long_tokens)
+                half, half_key = r.merged(needs.merge_tokens)
+                at, mark, _ = _marks(r.words, needs.run_tokens)
                 new = np.ones(len(at), bool)
                 new[1:] = (mark[1:] != mark[:-1]) | (r.words.text[at[1:]] != r.words.text[at[:-1]])
                 at, mark = at[new], mix(mark[new], 32)
-                size = r.last[b] - r.first[a]
-                group = mix(_span(r.sums, r.first[a], r.last[b], 22) ^ mix(size.astype(U), 23), 24)
-                text = np.concatenate([r.text[ok], r.text[a], r.words.text[at]])
-                number = np.concatenate([r.number[ok], r.number[a], np.zeros(len(at), np.int64)])
-                upto = np.concatenate([r.number[ok], r.number[b], np.full(len(at), -1)])
-                size = np.minimum(np.concatenate([count[ok], size, np.full(len(at), 1 << 20)]), 1 << 20)
-                key = np.concatenate([r.key[ok], group, mark])
+                group = mix(span(r.sums, r.first[a], r.last[b], 22) ^ mix((r.last[b] - r.first[a]).astype(U), 23), 24)
+                text = np.concatenate([r.text[ok], r.text[a], r.text[half], r.words.text[at]])
+                number = np.concatenate([r.number[ok], r.number[a], r.number[half], np.zeros(len(at), np.int64)])
+                upto = np.concatenate([r.number[ok], r.number[b], r.number[half], np.full(len(at), -1)])
+                need = np.concatenate([np.where(count[ok] < needs.long_tokens, needs.short_docs, needs.min_docs), np.full(len(a), needs.min_docs), np.full(len(half), needs.merge_docs), np.full(len(at), needs.min_docs)])
+                key = np.concatenate([r.keys()[ok], group, half_key, mark])
                 order = np.lexsort((number, key, text))
                 first = np.ones(len(order), bool)
                 first[1:] = (text[order][1:] != text[order][:-1]) | (key[order][1:] != key[order][:-1])
                 once = np.zeros(len(order), bool)
                 once[order[first]] = True  # a document counts once for a template
                 some = once | (upto >= 0)
-                text, number, upto, size, key, once = (c[some] for c in (text, number, upto, size, key, once))
-                cols = [pa.array(number.astype(np.int32)), pa.array(upto.astype(np.int32)), pa.array(size.astype(np.int32)), pa.array(key.view(np.int64)), pa.array(once.astype(np.int32))]
-                yield pa.RecordBatch.from_arrays([ids.take(pa.array(text + row)), pa.array(hashes[text + row]), *cols], ["id", "content", "number", "upto", "tokens", "template", "once"])
+                text, number, upto, need, key, once = (c[some] for c in (text, number, upto, need, key, once))
+                cols = [pa.array(number.astype(np.int32)), pa.array(upto.astype(np.int32)), pa.array(need.astype(np.int32)), pa.array(key.view(np.int64)), pa.array(once.astype(np.int32))]
+                yield pa.RecordBatch.from_arrays([ids.take(pa.array(text + row)), pa.array(hashes[text + row]), *cols], ["id", "content", "number", "upto", "need", "template", "once"])
 
     return run
 
 
-def template_records(docs: DataFrame, min_tokens: int = 3, id_col: str = "doc_id", text_col: str = "text", long_tokens: int = 8, run_tokens: int = 50) -> DataFrame:
-    """One row a record, a group of records and a mark: id, content hash, first
-    and last record (-1: a mark), tokens, key, and whether it is the text's
-    first of its key."""
-    src = bounded(docs).select(F.col(id_col).cast("bigint").alias("id"), F.xxhash64(F.col(text_col)).alias("content"), F.col(text_col).alias("text"))
-    return src.mapInArrow(_emit(min_tokens, long_tokens, run_tokens), "id bigint, content bigint, number int, upto int, tokens int, template bigint, once int")
+def _content(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return bounded(docs).select(F.col(id_col).cast("bigint").alias("id"), F.xxhash64(F.col(text_col)).alias("content"), F.col(text_col).alias("text"))
+
 
+def template_records(docs: DataFrame, needs: Needs = Needs(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row a record's template, a group of records and a mark: id, content
+    hash, first and last record (-1: a mark), documents that make it recur, key,
+    and whether it is the text's first of its key."""
+    return _content(docs, id_col, text_col).mapInArrow(_emit(needs), "id bigint, content bigint, number int, upto int, need int, template bigint, once int")
 
-def recurring(recs: DataFrame, min_docs: int = 2, long_tokens: int = 8, short_docs: int = 5) -> DataFrame:
+
+def recurring(recs: DataFrame) -> DataFrame:
     """(template, keeper): templates that enough documents have and the
     smallest id among them."""
-    need = F.when(F.col("tokens") >= long_tokens, min_docs).otherwise(short_docs)
-    return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("tokens").alias("tokens")).where(F.col("docs") >= need).select("template", "keeper")
+    return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("need").alias("need")).where("docs >= need").select("template", "keeper")
 
 
 def _runs(run_tokens: int):
     def run(batches):
         for batch in batches:
-            uid, ids, shared = np.asarray(batch.column(0)), batch.column(1), batch.column(3)
-            for row, end, data, off in chunks(batch.column(2)):
+            shared = batch.column(4)
+            for row, end, data, off in chunks(batch.column(3)):
                 w = words(data, off, BLANKS, cuts=script_cuts(data))
-                at, mark, sums = _marks(w, run_tokens)
+                at, mark, of = _marks(w, run_tokens)
                 mark, text, first = mix(mark, 32).view(np.int64), w.text[at], w.first(end - row)
                 bounds = np.searchsorted(text, np.arange(end - row + 1))
                 hit = np.zeros(len(at), bool)
                 for i in range(end - row):
                     hit[bounds[i] : bounds[i + 1]] = np.isin(mark[bounds[i] : bounds[i + 1]], shared[row + i].values.to_numpy())
                 at, text = at[hit], text[hit]
-                key = _span(sums, at, at + run_tokens, 33)
-                yield pa.RecordBatch.from_arrays([pa.array(uid[text + row]), ids.take(pa.array(text + row)), pa.array(key.view(np.int64)), pa.array((at - first[text]).astype(np.int32))], ["uid", "id", "run", "at"])
+                key, mine = span(of, at, at + run_tokens, 33), pa.array(text + row)
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).take(mine) for i in range(3)), pa.array(key.view(np.int64)), pa.array((at - first[text]).astype(np.int32))], ["uid", "id", "content", "run", "at"])
 
     return run
 
@@ -259,30 +290,36 @@ def _rebuild(at_text: int, n_columns: int, run_tokens: int):
     return run
 
 
-def drop_recurring_lines(docs: DataFrame, min_docs: int = 2, min_tokens: int = 3, long_tokens: int = 8, short_docs: int = 5, id_col: str = "doc_id", text_col: str = "text", counts: bool = False, run_tokens: int = 50) -> DataFrame:
+def drop_recurring_lines(docs: DataFrame, needs: Needs = Needs(), id_col: str = "doc_id", text_col: str = "text", counts: bool = False, drop_emptied: bool = False) -> DataFrame:
     """``docs`` with recurring records and runs cut out of the text; with
-    ``counts`` also n_records and n_dropped."""
-    recs = template_records(docs, min_tokens, id_col, text_col, long_tokens, run_tokens)
-    rec = recurring(recs, min_docs, long_tokens, short_docs)
+    ``counts`` also n_records and n_dropped; with ``drop_emptied`` without the
+    rows that had words and have lost them all."""
+    base = shared_dir(docs.sparkSession)
+    recs = materialise(template_records(docs, needs, id_col, text_col), "records", base)
+    rec = materialise(recurring(recs), "recurring", base)
     mark = F.col("upto") < 0
     hits = recs.join(rec, "template").where(mark | ~F.col("id").eqNullSafe(F.col("keeper")))
     drop = F.collect_set(F.when(~mark, F.struct(F.col("number").alias("a"), F.col("upto").alias("b")))).alias("_drop")
-    drops = hits.groupBy(F.col("id").alias("_id"), F.col("content").alias("_content")).agg(drop, F.collect_set(F.when(mark, F.col("template"))).alias("_marks"))
+    drops = materialise(hits.groupBy(F.col("id").alias("_id"), F.col("content").alias("_content")).agg(drop, F.collect_set(F.when(mark, F.col("template"))).alias("_marks")), "drops", base)
+    remove(docs.sparkSession, f"{base}/records")
+    # runs of the texts with shared marks
+    marks = drops.where(F.size("_marks") > 0).select("_id", "_content", "_marks")
+    mine = lambda i, c: i.eqNullSafe(F.col("_id")) & (c == F.col("_content"))
+    some = _content(docs, id_col, text_col).join(marks, mine(F.col("id"), F.col("content"))).select(F.monotonically_increasing_id().alias("uid"), "id", "content", "text", "_marks")
+    runs = materialise(some.mapInArrow(_runs(needs.run_tokens), "uid bigint, id bigint, content bigint, run bigint, at int"), "runs", base)
+    shared = materialise(runs.groupBy("run").agg(F.min("id").alias("keeper"), (F.count("*") if needs.min_docs <= 2 else F.countDistinct("uid")).alias("n")).where(F.col("n") >= max(needs.min_docs, 2)).select("run", "keeper"), "shared", base)
+    cuts = runs.join(shared, "run").where(~F.col("id").eqNullSafe(F.col("keeper"))).groupBy("id", "content").agg(F.collect_set("at").alias("_cut"))
+    cuts = materialise(cuts, "cuts", base)
+    lost = drops.select("_id", "_content", "_drop").join(cuts, mine(cuts["id"], cuts["content"]), "left").select("_id", "_content", "_drop", "_cut")
+    lost = materialise(lost.where((F.size("_drop") > 0) | F.col("_cut").isNotNull()), "lost", base)
     names = docs.columns
-    plain = docs.toDF(*[f"c{i}" for i in range(len(names))])
+    plain = bounded(docs).toDF(*[f"c{i}" for i in range(len(names))])
     at, at_id = names.index(text_col), names.index(id_col)
-    key = plain[f"c{at_id}"].cast("bigint")
-    both = plain.join(drops, key.eqNullSafe(F.col("_id")) & (F.xxhash64(plain[f"c{at}"]) == F.col("_content")), "left")
-    both = materialise(both.select(*plain.columns, "_drop", "_marks", key.alias("_id"), F.monotonically_increasing_id().alias("_uid")), "records")
-    marked = F.coalesce(F.size("_marks"), F.lit(0)) > 0
-    runs = both.where(marked).select("_uid", "_id", f"c{at}", "_marks").mapInArrow(_runs(run_tokens), "uid bigint, id bigint, run bigint, at int")
-    shared = runs.groupBy("run").agg(F.min("id").alias("keeper"), (F.count("*") if min_docs <= 2 else F.countDistinct("uid")).alias("n")).where(F.col("n") >= max(min_docs, 2))
-    cuts = runs.join(shared, "run").where(~F.col("id").eqNullSafe(F.col("keeper"))).groupBy("uid").agg(F.collect_set("at").alias("_cut"))
-    columns = [*plain.columns, "_drop", "_cut"]
-    cut = both.where(marked).join(cuts, F.col("_uid") == F.col("uid"), "left").select(*columns)
-    rest = both.where(~marked).withColumn("_cut", F.lit(None).cast("array<int>")).select(*columns)
+    both = plain.join(lost, mine(plain[f"c{at_id}"].cast("bigint"), F.xxhash64(plain[f"c{at}"])), "left").select(*plain.columns, "_drop", "_cut")
     schema = T.StructType([T.StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)] + [T.StructField(f"c{len(names)}", T.IntegerType()), T.StructField(f"c{len(names) + 1}", T.IntegerType())])
-    out = cut.unionByName(rest).mapInArrow(_rebuild(at, len(names), run_tokens), schema)
+    out = both.mapInArrow(_rebuild(at, len(names), needs.run_tokens), schema)
+    if drop_emptied:
+        out = out.where((F.col(f"c{len(names)}") == 0) | (F.col(f"c{len(names) + 1}") < F.col(f"c{len(names)}")))
     if counts:
         return out.toDF(*names, "n_records", "n_dropped")
     return out.select(*[F.col(f"c{i}") for i in range(len(names))]).toDF(*names)
