@@ -8,10 +8,11 @@ Plan
 2. Prefix filter: with similarity t, linked sets of sizes n share one of the
    first n - ceil(t n) + 1 shingles under ANY global order.  The first order
    puts rarer shingles (by the sketch) first, so passages that many texts share
-   are hardly ever in a prefix.  Two further orders are hash orders; the pair
-   must share a prefix shingle under them too before its sets are compared.
+   are hardly ever in a prefix.  Two further orders are hash orders; a pair's
+   short prefixes must meet under both before its whole sets are fetched.
 3. Star round: in each bucket (one prefix shingle) every class is compared only
-   with the bucket's most central class: rows, not pairs.
+   with the bucket's most central class: rows, not pairs.  That class is found by
+   a pre-aggregated maximum and joined back, so a hot bucket is split.
 4. Remaining round: pairs of one bucket whose classes the links so far have NOT
    put into one component; in large buckets, of the members near the bucket's
    head, only those that also share enough of their differences from the head (a
@@ -36,11 +37,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .shared import bounded, materialise, shared_dir
+from .shared import bounded, materialise, remove, shared_dir
 from .textkernel import BLANKS, U, chunks, grams, mix, words
 
 BUCKET = 1000  #: larger buckets are compared by differences from their head
@@ -229,23 +230,35 @@ def _full_sets(k: int, num: int, den: int, level_b):
     return run
 
 
-def _verify(num: int, den: int):
-    def shared(a: bytes, b: bytes) -> int:
-        return len(np.intersect1d(np.frombuffer(a, U), np.frombuffer(b, U), assume_unique=True))
+def _shared(a: bytes, b: bytes) -> int:
+    return len(np.intersect1d(np.frombuffer(a, U), np.frombuffer(b, U), assume_unique=True))
+
+
+def _pairs_that(test):
+    """Pairs u, v of the first two columns whose further columns pass."""
 
     def run(batches):
         for batch in batches:
-            c = [x.to_pylist() if i > 1 else np.asarray(x) for i, x in enumerate(batch.columns)]
-            ok = np.zeros(batch.num_rows, bool)
-            for i in range(batch.num_rows):
-                if c[4][i] is not None and shared(c[3][i], c[6][i]) and shared(c[4][i], c[7][i]):
-                    both = shared(c[2][i], c[5][i])
-                    ok[i] = den * both >= num * ((len(c[2][i]) + len(c[5][i])) // 8 - both)
-            yield pa.RecordBatch.from_arrays([pa.array(c[0][ok]), pa.array(c[1][ok])], ["u", "v"])
+            u, v = np.asarray(batch.column(0)), np.asarray(batch.column(1))
+            ok = np.fromiter((test(*x) for x in zip(*(c.to_pylist() for c in batch.columns[2:]))), bool, batch.num_rows)
+            yield pa.RecordBatch.from_arrays([pa.array(u[ok]), pa.array(v[ok])], ["u", "v"])
 
     return run
 
 
+def _meet(p2: bytes, p3: bytes, q2: bytes, q3: bytes) -> bool:
+    """Do the prefixes under the second and the third order meet?"""
+    return _shared(p2, q2) > 0 and _shared(p3, q3) > 0
+
+
+def _similar(num: int, den: int):
+    def test(a: bytes, b: bytes) -> bool:
+        both = _shared(a, b)
+        return den * both >= num * ((len(a) + len(b)) // 8 - both)
+
+    return test
+
+
 def _differences(num: int, den: int):
     return lambda batches: _differing_tokens(batches, num, den)
 
@@ -336,17 +349,24 @@ class _Join:
             return pairs
         want = pairs.select(F.col("u").alias("key")).unionByName(pairs.select(F.col("v").alias("key"))).distinct()
         sets = self.sets(want, name)
-        left, right = (sets.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("full", "p2", "p3"))) for x in "uv")
-        joined = pairs.join(right, "v").join(left, "u").select("u", "v", "full_u", "p2_u", "p3_u", "full_v", "p2_v", "p3_v")
-        return materialise(joined.mapInArrow(_verify(self.num, self.den), "u bigint, v bigint"), f"{name}_links", self.base)
+        kept = self.joined(pairs, sets, ("p2", "p3"), _meet, f"{name}_met")
+        return self.joined(kept, sets, ("full",), _similar(self.num, self.den), f"{name}_links")
+
+    def joined(self, pairs: DataFrame, sets: DataFrame, columns: tuple, test, name: str) -> DataFrame:
+        """Pairs whose ends' ``columns`` pass; no other columns are read."""
+        left, right = (sets.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in columns)) for x in "uv")
+        both = pairs.join(right, "v").join(left, "u").select("u", "v", *(f"{c}_{x}" for x in "uv" for c in columns))
+        return materialise(both.mapInArrow(_pairs_that(test), "u bigint, v bigint"), name, self.base)
 
     def run(self) -> DataFrame:
         entries = self.docs.select("text").mapInArrow(_entries(self.k, self.num, self.den, self.level), "token bigint, key bigint, n int, pos int, central int")
-        order = Window.partitionBy("token").orderBy(F.desc("central"), "key")
-        whole = order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+        entries = materialise(entries, "entries", self.base)
         me = F.struct("key", "n", "pos")
-        buckets = entries.withColumns({"head": F.first(me).over(whole), "low": F.min("key").over(whole), "high": F.max("key").over(whole)})
-        live = materialise(buckets.where("low <> high").select("token", me.alias("a"), "head"), "live", self.base)
+        most = F.struct("central", F.bitwise_not("key").alias("order"), "key", "n", "pos")
+        buckets = entries.groupBy("token").agg(F.max(most).alias("most"), F.min("key").alias("low"), F.max("key").alias("high")).where("low <> high")
+        heads = materialise(buckets.select("token", F.struct("most.key", "most.n", "most.pos").alias("head")), "heads", self.base)
+        live = materialise(entries.join(heads, "token").select("token", me.alias("a"), "head"), "live", self.base)
+        remove(self.spark, f"{self.base}/entries")
         star = live.where((F.col("a.key") != F.col("head.key")) & self.possible("a", "head")).select(F.col("head.key").alias("u"), F.col("a.key").alias("v")).distinct()
         links = self.links(star, "star")
         roots = materialise(connected_components(links), "roots1", self.base)
@@ -374,7 +394,8 @@ class _Join:
             edges = links.unionByName(more)
             roots = materialise(connected_components(edges), "roots2", self.base)
         placed = self.members.join(roots, self.members["key"] == roots["node"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.coalesce("root", "key")).alias("root"))
-        smallest = placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("low"))
+        # written, so that the join back is one of its own and may split a hot root
+        smallest = materialise(placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("low")), "smallest", self.base)
         return placed.join(smallest, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("low", "doc_id").alias("component_id"))
 
 
