@@ -8,7 +8,9 @@ when the record or its payload is not wanted; members without the field, and
 files without compression, are read through.
 
 Reading: ``spark.read.format("warc").load(folder)``.  Files are planned into
-partitions of about ``partition_bytes``.  Equality, IN, NULL and comparison
+partitions of about ``partition_bytes``; a larger file is cut where its writer's
+manifest says that records begin (a foreign one is a partition of its own).  Rows
+come as Arrow batches of bounded size.  Equality, IN, NULL and comparison
 predicates on header columns are pushed down (where the session allows filters to
 be pushed to Python sources); ``option("payload", "false")`` leaves the payload
 column null and undecoded.  Writing: rows with the columns ``record_type,
@@ -18,6 +20,12 @@ get into the manifest, so retried and speculative tasks leave no double records.
 
 Folders are opened through pyarrow's file systems, hence by any URI that these
 know (local, HDFS, S3, GCS).
+
+Defined cases (``archive_rows``): null pages are empty payloads; a null id is
+``urn:page:null`` and is the response of its payload only where no other row has
+one; rows repeated under the smallest id are responses all; columns beyond id,
+url and payload are ignored, whatever their names; an empty table writes no file,
+and a folder without files reads as an empty table.
 """
 
 from __future__ import annotations
@@ -35,7 +43,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, EqualNullSafe, EqualTo, GreaterThan, GreaterThanOrEqual, In, InputPartition, IsNotNull, IsNull, LessThan, LessThanOrEqual, StringStartsWith, WriterCommitMessage
 
-from .shared import bounded
+from .shared import BATCH_BYTES, bounded, materialise
 
 SCHEMA = "file string, position bigint, record_type string, record_id string, target_uri string, refers_to string, http string, payload_length bigint, payload_digest string, payload binary"
 _FIELDS = {"record_type": "WARC-Type", "record_id": "WARC-Record-ID", "target_uri": "WARC-Target-URI", "refers_to": "WARC-Refers-To", "payload_digest": "WARC-Payload-Digest"}
@@ -101,7 +109,7 @@ class _Member:
     """A stream of one record's bytes, inflated no further than asked for."""
 
     def __init__(self, source, at: int, size: int):
-        self.source, self.at, self.end, self.data = source, at, None, b""
+        self.source, self.at, self.end, self.data, self.read = source, at, None, bytearray(), 0
         source.seek(at)
         start = source.read(min(24, size - at))
         self.plain = start[:2] != b"\x1f\x8b"
@@ -115,8 +123,12 @@ class _Member:
 
     def until(self, n: int | None, mark: bytes | None = None) -> bool:
         """Read until ``n`` bytes or ``mark`` are there; False at the end."""
-        step = 4096
-        while (n is None or len(self.data) < n) and (mark is None or mark not in self.data):
+        step, looked = 4096, 0
+        while n is None or len(self.data) < n:
+            if mark is not None:
+                if self.data.find(mark, max(0, looked - len(mark))) >= 0:
+                    return True
+                looked = len(self.data)
             if self.plain:
                 part = self.source.read(step)
             else:
@@ -147,11 +159,12 @@ class _Member:
         return self.end
 
 
-def read_records(source, size: int, keep=lambda row: True, payload: bool = True) -> Iterator[dict]:
-    """Rows of one open archive; ``keep`` sees the header columns only, and
-    what it refuses is not inflated further."""
-    at = 0
-    while at < size:
+def read_records(source, size: int, keep=lambda row: True, payload: bool = True, start_at: int = 0, stop_at: int | None = None, inflated: list | None = None) -> Iterator[dict]:
+    """Rows of one open archive, of the records that begin in [start_at,
+    stop_at); ``keep`` sees the header columns only, and what it refuses is not
+    inflated further.  ``inflated`` gets the bytes held of each record."""
+    at, stop = start_at, size if stop_at is None else min(size, stop_at)
+    while at < stop:
         member = _Member(source, at, size)
         if not member.until(None, b"\r\n\r\n"):
             if member.data.strip():
@@ -160,7 +173,7 @@ def read_records(source, size: int, keep=lambda row: True, payload: bool = True)
         cut = member.data.index(b"\r\n\r\n")
         if not member.data.startswith(b"WARC/"):
             raise ValueError(f"no WARC record at {at}")
-        head = _header(member.data[:cut])
+        head = _header(bytes(member.data[:cut]))
         start, length = cut + 4, int(head.get("content-length", 0))
         row = _row(head) | {"position": at, "http": None, "payload_length": None, "payload": None}
         if keep(row):
@@ -180,8 +193,10 @@ def read_records(source, size: int, keep=lambda row: True, payload: bool = True)
             if payload:
                 if not member.until(start + length):
                     raise ValueError(f"cut-off WARC record at {at}")
-                row["payload"] = member.data[body : start + length]
+                row["payload"] = bytes(member.data[body : start + length])
             yield row
+        if inflated is not None:
+            inflated.append(len(member.data))
         at = member.close(start + length + 4)
 
 
@@ -206,11 +221,17 @@ def _accepts(filters) -> callable:
 
 
 class _Files(InputPartition):
-    def __init__(self, files: list[tuple[str, int]]):
+    """(path, size, first byte, last byte + 1) of each file or piece."""
+
+    def __init__(self, files: list[tuple[str, int, int, int]]):
         super().__init__(files)
         self.files = files
 
 
+_KINDS = {"string": pa.string(), "bigint": pa.int64(), "binary": pa.large_binary()}
+_ARROW = pa.schema([(c.split()[0], _KINDS[c.split()[1]]) for c in SCHEMA.split(", ")])
+
+
 class WarcReader(DataSourceReader):
     def __init__(self, options):
         self.folder, self.filters = options["path"], []
@@ -231,30 +252,43 @@ class WarcReader(DataSourceReader):
         found = {i.path: i.size for i in store.get_file_info(fs.FileSelector(root, recursive=True)) if i.is_file}
         listed = [p for p in found if p.endswith(_MANIFEST)]
         files = [p for p in found if p.endswith((".warc", ".warc.gz"))]
+        marks: dict[str, list[int]] = {}
         if listed:
-            named = set()
             for p in listed:
                 with store.open_input_stream(p) as f:
-                    named |= {f"{p.rpartition('/')[0]}/{n}" for n in json.loads(f.read())["files"]}
-            files = [p for p in files if p in named]
+                    marks |= {f"{p.rpartition('/')[0]}/{n}": at for n, at in json.loads(f.read())["files"].items()}
+            files = [p for p in files if p in marks]
         parts, part, held = [], [], 0
         for p in sorted(files):
-            part.append((p, found[p]))
-            held += found[p]
-            if held >= self.bytes:
-                parts.append(_Files(part))
-                part, held = [], 0
+            edges = [0]
+            for at in marks.get(p, ()):
+                if at - edges[-1] >= self.bytes:
+                    edges.append(at)
+            for first, last in zip(edges, [*edges[1:], found[p]]):
+                part.append((p, found[p], first, last))
+                held += last - first
+                if held >= self.bytes:
+                    parts.append(_Files(part))
+                    part, held = [], 0
         return parts + ([_Files(part)] if part else [])
 
     def read(self, partition):
-        names = [c.split()[0] for c in SCHEMA.split(", ")]
         store, _ = filesystem(self.folder)
-        keep = _accepts(self.filters)
-        for path, size in partition.files if partition else ():
+        keep, rows, held = _accepts(self.filters), [], 0
+
+        def batch():
+            return pa.RecordBatch.from_pylist(rows, schema=_ARROW)
+
+        for path, size, first, last in partition.files if partition else ():
             with store.open_input_file(path) as f:
-                for row in read_records(f, size, keep, self.payload):
-                    row["file"] = path
-                    yield tuple(row[n] for n in names)
+                for row in read_records(f, size, keep, self.payload, first, last):
+                    rows.append(row | {"file": path})
+                    held += 200 + len(row["payload"] or b"") + len(row["http"] or "")
+                    if held >= BATCH_BYTES or len(rows) >= 5000:
+                        yield batch()
+                        rows, held = [], 0
+        if rows:
+            yield batch()
 
 
 class _Wrote(WriterCommitMessage):
@@ -266,18 +300,23 @@ class WarcWriter(DataSourceWriter):
     def __init__(self, options):
         self.folder = options["path"]
         self.roll = int(options.get("file_bytes", 512 << 20))
+        self.mark = int(options.get("mark_bytes", 4 << 20))
         self.level = int(options.get("level", 1))
 
     def write(self, rows):
         store, root = filesystem(self.folder)
         store.create_dir(root, recursive=True)
-        files, out, held = [], None, 0
+        files: dict[str, list[int]] = {}  # name -> places where a record begins, some apart
+        out, held, marks = None, 0, []
         for row in rows:
             if out is None or held >= self.roll:
                 if out is not None:
                     out.close()
-                files.append(f"part-{uuid.uuid4().hex}.warc.gz")
-                out, held = store.open_output_stream(f"{root}/{files[-1]}", compression=None), 0
+                name = f"part-{uuid.uuid4().hex}.warc.gz"
+                files[name] = marks = []
+                out, held = store.open_output_stream(f"{root}/{name}", compression=None), 0
+            if held - (marks[-1] if marks else 0) >= self.mark:
+                marks.append(held)
             member = gzip_member(encode_record(row), self.level)
             out.write(member)
             held += len(member)
@@ -289,7 +328,7 @@ class WarcWriter(DataSourceWriter):
         store, root = filesystem(self.folder)
         store.create_dir(root, recursive=True)
         with store.open_output_stream(f"{root}/{uuid.uuid4().hex}{_MANIFEST}") as f:
-            f.write(json.dumps({"files": [n for m in messages if m for n in m.files]}).encode())
+            f.write(json.dumps({"files": {n: at for m in messages if m for n, at in m.files.items()}}).encode())
 
     def abort(self, messages):
         store, root = filesystem(self.folder)
@@ -330,15 +369,16 @@ def archive_rows(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     with the smallest id is the response, the others are revisits of it.
 
     Null payloads are empty; rows repeated under the smallest id are responses
-    all.  One pre-aggregated minimum by digest, joined back: the join splits a
-    hot payload's rows, and a row that shares its payload with none keeps its
-    place in the same join."""
+    all.  One pre-aggregated minimum by digest over payloads that come again,
+    written, so that its true size decides on the join back: broadcast where it
+    is small (no payload moves then), else a join that splits a hot payload."""
     src = bounded(pages).select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(payload_col), "UTF-8").alias("payload"), F.col(url_col).alias("uri"))
     rows = src.mapInArrow(_digests, "id bigint, payload binary, uri string, payload_length bigint, payload_digest string")
     # the digest of the count is made in the JVM, so that this scan needs no Python
     key = src.select("id", F.sha1(F.coalesce("payload", F.lit(b""))).alias("hex"), F.coalesce(F.length("payload"), F.lit(0)).alias("n"))
-    first = key.where(F.col("n") >= min_bytes).groupBy("hex").agg(F.min("id").alias("first"), F.count("*").alias("m")).where("m > 1").select("hex", "first")
-    joined = rows.withColumn("hex", F.sha1(F.coalesce("payload", F.lit(b"")))).join(first, "hex", "left")
+    first = key.where(F.col("n") >= min_bytes).groupBy("hex").agg(F.min("id").alias("first"), F.count("*").alias("m")).where("m > 1")
+    first = materialise(first.select(F.unhex("hex").alias("sha"), "first"), "first")
+    joined = rows.withColumn("sha", F.unhex(F.sha1(F.coalesce("payload", F.lit(b""))))).join(first, "sha", "left")
     again = F.col("first").isNotNull() & ~F.col("id").eqNullSafe(F.col("first"))
     return joined.select(
         F.when(again, "revisit").otherwise("response").alias("record_type"),
