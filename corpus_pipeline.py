@@ -18,8 +18,9 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Cuts recurring lines and sentences out of all documents but the first."""
-    return linededup.drop_recurring_lines(docs)
+    """Cuts recurring lines and sentences out of all documents but the first;
+    a document that loses all its words so goes."""
+    return linededup.drop_recurring_lines(docs, drop_emptied=True)
 
 
 def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
