@@ -76,7 +76,9 @@ def line_dedup(rows, needs):
             for d, a, b, _ in found:
                 if d != keeper:
                     gone[d] |= set(range(a, b))
+    before = {d: set(g) for d, g in gone.items()}
     for found in runs.values():
+        found = [(d, i) for d, i in found if not set(range(i, i + needs.run_tokens)) <= before.get(d, set())]
         have = {d for d, _ in found}
         if len(have) >= max(needs.min_docs, 2):
             keeper = min(have, key=order)

@@ -29,9 +29,9 @@ Two rules more find passages whatever the borders of their records:
 * a record of fewer than ``long_tokens`` tokens is also judged together with the
   records after it, and with those before it, that bring it to that length;
   such a group is one long record, and all its records go with it;
-* every run of ``run_tokens`` words, wherever it begins and ends, stays in the
-  document of the smallest id that has it and is cut from all others, so a
-  longer shared passage goes whole.  The smallest k-gram hash of a run marks it:
+* every run of ``run_tokens`` words of which the records leave any, wherever it
+  begins and ends, stays in the document of the smallest id that has it and is
+  cut from all others, so a longer shared passage goes whole.  The smallest k-gram hash of a run marks it:
   runs are compared only where two documents share the mark, which equal runs do.
 
 Characters of scripts without blanks are tokens of their own.  n_dropped counts
@@ -198,11 +198,8 @@ def _emit(needs: Needs):
                 upto = np.concatenate([r.number[ok], r.number[b], r.number[half], np.full(len(at), -1)])
                 need = np.concatenate([np.where(count[ok] < needs.long_tokens, needs.short_docs, needs.min_docs), np.full(len(a), needs.min_docs), np.full(len(half), needs.merge_docs), np.full(len(at), needs.min_docs)])
                 key = np.concatenate([r.keys()[ok], group, half_key, mark])
-                order = np.lexsort((number, key, text))
-                first = np.ones(len(order), bool)
-                first[1:] = (text[order][1:] != text[order][:-1]) | (key[order][1:] != key[order][:-1])
-                once = np.zeros(len(order), bool)
-                once[order[first]] = True  # a document counts once for a template
+                once = np.zeros(len(key), bool)  # a document counts once for a template
+                once[np.unique(mix(key ^ mix(text.astype(U), 44), 45), return_index=True)[1]] = True
                 some = once | (upto >= 0)
                 text, number, upto, need, key, once = (c[some] for c in (text, number, upto, need, key, once))
                 cols = [pa.array(number.astype(np.int32)), pa.array(upto.astype(np.int32)), pa.array(need.astype(np.int32)), pa.array(key.view(np.int64)), pa.array(once.astype(np.int32))]
@@ -228,18 +225,34 @@ def recurring(recs: DataFrame) -> DataFrame:
     return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("need").alias("need")).where("docs >= need").select("template", "keeper")
 
 
+def _lost(r: Records, lo: int, hi: int, base: int, gone: list | None) -> np.ndarray:
+    """Steps at the words lo..hi of one text, whose running sum is above zero
+    where a dropped record lies; ``base``: the text's first record."""
+    step = np.zeros(hi - lo + 1, np.int32)
+    if gone:
+        np.add.at(step, r.first[base + np.array([g["a"] for g in gone])] - lo, 1)
+        np.add.at(step, r.last[base + np.array([g["b"] for g in gone])] - lo, -1)
+    return step
+
+
 def _runs(run_tokens: int):
     def run(batches):
         for batch in batches:
-            shared = batch.column(4)
+            shared, drops = batch.column(4), batch.column(5).to_pylist()
             for row, end, data, off in chunks(batch.column(3)):
-                w = words(data, off, BLANKS, cuts=script_cuts(data))
+                r = records(data, off)
+                w, first = r.words, r.words.first(end - row)
                 at, mark, of = _marks(w, run_tokens)
-                mark, text, first = mix(mark, 32).view(np.int64), w.text[at], w.first(end - row)
-                bounds = np.searchsorted(text, np.arange(end - row + 1))
+                mark, text = mix(mark, 32).view(np.int64), w.text[at]
+                bounds, base = np.searchsorted(text, np.arange(end - row + 1)), np.searchsorted(r.text, np.arange(end - row))
                 hit = np.zeros(len(at), bool)
                 for i in range(end - row):
-                    hit[bounds[i] : bounds[i + 1]] = np.isin(mark[bounds[i] : bounds[i + 1]], shared[row + i].values.to_numpy())
+                    mine = slice(bounds[i], bounds[i + 1])
+                    hit[mine] = np.isin(mark[mine], shared[row + i].values.to_numpy())
+                    if drops[row + i] and len(at[mine]):  # not where all words are gone already
+                        left = np.append(0, np.cumsum(np.cumsum(_lost(r, first[i], first[i + 1], base[i], drops[row + i])[:-1]) == 0))
+                        here = at[mine] - first[i]
+                        hit[mine] &= left[here + run_tokens] > left[here]
                 at, text = at[hit], text[hit]
                 key, mine = span(of, at, at + run_tokens, 33), pa.array(text + row)
                 yield pa.RecordBatch.from_arrays([*(batch.column(i).take(mine) for i in range(3)), pa.array(key.view(np.int64)), pa.array((at - first[text]).astype(np.int32))], ["uid", "id", "content", "run", "at"])
@@ -264,10 +277,7 @@ def _rebuild(at_text: int, n_columns: int, run_tokens: int):
                         lost.append(0)
                         continue
                     lo, hi = first[i], first[i + 1]
-                    step = np.zeros(hi - lo + 1, np.int32)
-                    if gone:
-                        np.add.at(step, r.first[bounds[i] + np.array([g["a"] for g in gone])] - lo, 1)
-                        np.add.at(step, r.last[bounds[i] + np.array([g["b"] for g in gone])] - lo, -1)
+                    step = _lost(r, lo, hi, bounds[i], gone)
                     if runs:
                         np.add.at(step, np.array(runs), 1)
                         np.add.at(step, np.array(runs) + run_tokens, -1)
@@ -303,9 +313,9 @@ def drop_recurring_lines(docs: DataFrame, needs: Needs = Needs(), id_col: str =
     drops = materialise(hits.groupBy(F.col("id").alias("_id"), F.col("content").alias("_content")).agg(drop, F.collect_set(F.when(mark, F.col("template"))).alias("_marks")), "drops", base)
     remove(docs.sparkSession, f"{base}/records")
     # runs of the texts with shared marks
-    marks = drops.where(F.size("_marks") > 0).select("_id", "_content", "_marks")
+    marks = drops.where(F.size("_marks") > 0)
     mine = lambda i, c: i.eqNullSafe(F.col("_id")) & (c == F.col("_content"))
-    some = _content(docs, id_col, text_col).join(marks, mine(F.col("id"), F.col("content"))).select(F.monotonically_increasing_id().alias("uid"), "id", "content", "text", "_marks")
+    some = _content(docs, id_col, text_col).join(marks, mine(F.col("id"), F.col("content"))).select(F.monotonically_increasing_id().alias("uid"), "id", "content", "text", "_marks", "_drop")
     runs = materialise(some.mapInArrow(_runs(needs.run_tokens), "uid bigint, id bigint, content bigint, run bigint, at int"), "runs", base)
     shared = materialise(runs.groupBy("run").agg(F.min("id").alias("keeper"), (F.count("*") if needs.min_docs <= 2 else F.countDistinct("uid")).alias("n")).where(F.col("n") >= max(needs.min_docs, 2)).select("run", "keeper"), "shared", base)
     cuts = runs.join(shared, "run").where(~F.col("id").eqNullSafe(F.col("keeper"))).groupBy("id", "content").agg(F.collect_set("at").alias("_cut"))
