@@ -70,4 +70,4 @@ def test_broken_nesting(text):
 
 
 def test_explain():
-    assert "non-local, 1 more exchange" in explain_script(FISH_SCRIPT)
+    assert "non-local, 1 exchange of effects" in explain_script(FISH_SCRIPT)

@@ -34,8 +34,9 @@ def clamp(value: str, low: str | int, high: str | int) -> str:
 
 def pack(key: str, payload: str) -> str:
     """Key and payload in one number, so that a minimum is an arg-min; both
-    are non-negative, the payload below 2**31."""
-    return f"(({key}) * 2147483648 + ({payload}))"
+    are non-negative and below 2**31.  A payload beyond that overflows, which
+    stops the query in either engine; minima of ``struct(key, id)`` have no limit."""
+    return f"(({key}) * 2147483648 + ({payload}) + 9223372036854775807 * CASE WHEN ({payload}) < 0 OR ({payload}) > 2147483647 THEN 2 ELSE 0 END)"
 
 
 def packed_key(value: str) -> str:
@@ -47,4 +48,8 @@ def packed_payload(value: str) -> str:
 
 
 def to_fixed(value: str, scale: int) -> str:
-    return f"CAST(floor(({value}) * {scale} + 0.5) AS BIGINT)"
+    return f"CAST(floor(({value}) * {scale} + CAST(0.5 AS DOUBLE)) AS BIGINT)"
+
+
+def from_fixed(value: str, scale: int) -> str:
+    return f"(CAST(({value}) AS DOUBLE) / {scale})"

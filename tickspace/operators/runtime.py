@@ -1,25 +1,43 @@
-"""Runs of many ticks: epochs, checkpoints, recovery, balancing, collocation."""
+"""Runs of many ticks: epochs, checkpoints, recovery, balancing, collocation.
+
+Within an epoch the world is held in memory (spilled to local disk where it must
+be), one copy, in its parts; a tick reads it without any exchange of its own agents
+and its plan starts at the held tables, so plans do not grow with the ticks.  At an
+epoch's end the world is written to the shared folder: lost executors are made good
+from there, by the lineage of one epoch.
+"""
 
 from __future__ import annotations
 
 import json
 import math
+import re
 import time
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..plans.agents import AgentClass
-from .space import GridMap, initial_partition
-from .tick import World, tick
+from ..plans.agents import AgentClass, prepare
+from .space import PART, label, place, quantile_splits, replicate, scratch, should_repartition, GridMap
+from .tick import IN_PARTS, World, closed_tick, tick
+
+NEXT = "_next"
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder of the session; one of our own only where unset."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or "/tmp/tickspace-checkpoints").rstrip("/")
+    """The shared folder of the session.  A folder of this machine only where the
+    session names none and runs in this one process; else it is refused."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        base = "/tmp/tickspace-checkpoints"
+    return base.rstrip("/")
 
 
 @dataclass
@@ -29,96 +47,317 @@ class RunResult:
     epoch_seconds: list[float] = field(default_factory=list)
     path: str = ""
     loads: list[dict[int, int]] = field(default_factory=list)
-    maps: list[GridMap | None] = field(default_factory=list)
-
-
-def _text(spark: SparkSession, path: str, data: str | None = None) -> str | None:
-    """Write or read a small file through Hadoop's file systems."""
-    jvm = spark._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    fs = p.getFileSystem(spark._jsc.hadoopConfiguration())
-    if data is None:
-        if not fs.exists(p):
-            return None
-        return spark.read.text(path, wholetext=True).first()[0]
-    tmp = jvm.org.apache.hadoop.fs.Path(path + ".tmp")
+    maps: list = field(default_factory=list)
+    tick_seconds: list[float] = field(default_factory=list)
+    exchanged: list[dict[str, int]] = field(default_factory=list)  #: agents that changed place, a tick
+    switched: list[bool] = field(default_factory=list)  #: whether an epoch's end re-cut space
+
+
+def _fs(spark: SparkSession, path: str):
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()), p
+
+
+def _put(spark: SparkSession, path: str, data: str) -> None:
+    """Write a small new file through Hadoop's file systems: whole or not at all."""
+    fs, p = _fs(spark, path)
+    _, tmp = _fs(spark, path + ".tmp")
     out = fs.create(tmp, True)
     out.write(bytearray(data.encode()))
     out.close()
-    fs.rename(tmp, p)
-    return data
+    if not fs.rename(tmp, p):
+        raise OSError(f"cannot put {path}")
 
 
 def write_checkpoint(world: World, path: str, epoch: int, tick_: int, extra: dict | None = None) -> World:
-    """One Parquet folder a class, then the manifest: without it the
-    checkpoint does not count.  Returns the world read back (lineage cut)."""
+    """One Parquet folder a class, then the manifest: without it the checkpoint
+    does not count.  Every attempt has folders and a manifest of its own, so a
+    repeated epoch never touches data that a manifest names.  Returns the world
+    read back (lineage cut)."""
     spark = next(iter(world.values())).sparkSession
-    out, classes = {}, {}
+    out, classes, attempt = {}, {}, uuid.uuid4().hex
     for name, df in world.items():
-        where = f"{path}/epoch={epoch}/{name}"
-        df.write.mode("overwrite").parquet(where)
+        where = f"{path}/epoch={epoch}/{name}-{attempt}"
+        df.write.parquet(where)
         out[name] = spark.read.schema(df.schema).parquet(where)
         classes[name] = where
-    _text(spark, f"{path}/epoch={epoch}/manifest.json", json.dumps({"epoch": epoch, "tick": tick_, "classes": classes, "complete": True} | (extra or {})))
+    _put(spark, f"{path}/epoch={epoch}/manifest-{attempt}.json", json.dumps({"epoch": epoch, "tick": tick_, "classes": classes, "complete": True} | (extra or {})))
     return out
 
 
-def resume(spark: SparkSession, path: str, upto: int = 10_000) -> tuple[World, int, int] | None:
-    """(world, tick, epoch) of the newest complete checkpoint."""
-    jvm = spark._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    fs = p.getFileSystem(spark._jsc.hadoopConfiguration())
+def resume(spark: SparkSession, path: str, upto: int | None = None) -> tuple[World, int, int] | None:
+    """(world, tick, epoch) of the newest complete checkpoint (up to an epoch)."""
+    fs, p = _fs(spark, path)
     if not fs.exists(p):
         return None
-    epochs = sorted((int(s.getPath().getName().split("=")[1]) for s in fs.listStatus(p) if "=" in s.getPath().getName()), reverse=True)
-    for e in (e for e in epochs if e <= upto):
-        got = _text(spark, f"{path}/epoch={e}/manifest.json")
-        if got and (m := json.loads(got)).get("complete"):
-            return {n: spark.read.parquet(w) for n, w in m["classes"].items()}, m["tick"], e
+    epochs = sorted((int(s.getPath().getName().split("=")[1]) for s in fs.listStatus(p) if s.getPath().getName().startswith("epoch=")), reverse=True)
+    for e in (e for e in epochs if upto is None or e <= upto):
+        found = [s for s in fs.listStatus(_fs(spark, f"{path}/epoch={e}")[1]) if re.fullmatch(r"manifest-\w+\.json", s.getPath().getName())]
+        for s in sorted(found, key=lambda s: -s.getModificationTime()):
+            m = json.loads(spark.read.text(s.getPath().toString(), wholetext=True).first()[0])
+            if m.get("complete") and all(fs.exists(_fs(spark, w)[1]) for w in m["classes"].values()):
+                return {n: spark.read.parquet(w) for n, w in m["classes"].items()}, m["tick"], e
     return None
 
 
+# -- the world in memory -----------------------------------------------------------
+
+
+@dataclass
+class Held:
+    """A table kept in the executors' memory; ``df`` is a leaf plan over it."""
+
+    df: DataFrame
+    rows: int
+    source: DataFrame
+
+    def free(self) -> None:
+        self.source.unpersist()
+
+
+def hold(df: DataFrame) -> Held:
+    """Compute ``df`` and keep it, spilling to disk.  The plan handed out begins at
+    the kept table, with its partitioning; a lost block is computed anew."""
+    spark = df.sparkSession
+    df.persist(StorageLevel.MEMORY_AND_DISK)
+    rows = df.count()
+    leaf = spark._jvm.org.apache.spark.sql.classic.Dataset.ofRows(spark._jsparkSession, df._jdf.queryExecution().withCachedData())
+    return Held(DataFrame(leaf, spark), rows, df)
+
+
+@contextmanager
+def tick_settings(spark: SparkSession, parts: int) -> Iterator[None]:
+    """Settings under which agents that are dealt by part are joined and grouped
+    by (part, ...) without another exchange."""
+    want = {"spark.sql.adaptive.enabled": "false", "spark.sql.shuffle.partitions": str(parts), "spark.sql.requireAllClusterKeysForCoPartition": "false", "spark.sql.autoBroadcastJoinThreshold": "-1"}
+    before = {k: spark.conf.get(k, None) for k in want}
+    try:
+        for k, v in want.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def _moved(staged: Held, parts: int, collocate: bool) -> DataFrame:
+    """Agents in the parts they belong to after a tick.  Stayers keep their place,
+    movers are exchanged; without collocation all are."""
+    stay = staged.df.where(F.col(PART) == F.col(NEXT)).drop(NEXT)
+    move = staged.df.where(F.col(PART) != F.col(NEXT)).drop(PART).withColumnRenamed(NEXT, PART)
+    if not collocate:
+        return staged.df.drop(PART).withColumnRenamed(NEXT, PART).repartition(parts, PART)
+    return stay.unionByName(move.repartition(parts, PART))
+
+
+class Holder:
+    """The world of a run, tick by tick, in parts (with a map) or whole."""
+
+    def __init__(self, world: World, classes: dict[str, AgentClass], strategy: str, pmap, collocate: bool, measure: bool):
+        self.spark = next(iter(world.values())).sparkSession
+        self.classes, self.strategy, self.collocate, self.measure = classes, strategy, collocate, measure
+        self.pmap = pmap if strategy in IN_PARTS else None
+        self.now = {n: hold(self._placed(df)) for n, df in world.items()}
+        self.exchanged: dict[str, int] = {}
+
+    def settings(self):
+        return tick_settings(self.spark, self.pmap.parts) if self.pmap is not None else _as_is()
+
+    def _placed(self, df: DataFrame) -> DataFrame:
+        if self.pmap is None:
+            return df
+        with self.settings():
+            return place(df, self.pmap)
+
+    def world(self) -> World:
+        return {n: h.df.drop(PART) for n, h in self.now.items()}
+
+    def replace(self, new: dict[str, Held]) -> None:
+        old, self.now = self.now, new
+        for h in old.values():
+            h.free()
+
+    def enter(self, spawn: Callable[[World, int], World], t: int) -> None:
+        """Agents that enter before a tick join their parts."""
+        after = spawn(self.world(), t)
+        new = dict(self.now)
+        with self.settings():
+            for n, df in after.items():
+                new[n] = hold(self._placed(df))
+        self.replace(new)
+
+    def step(self, t: int) -> None:
+        with self.settings():
+            after = tick({n: h.df for n, h in self.now.items()}, self.classes, t, self.strategy, self.pmap, {n: h.rows for n, h in self.now.items()})
+            if self.pmap is None:
+                self.replace({n: hold(df) for n, df in after.items()})
+                return
+            staged = {n: hold(df.withColumn(NEXT, label(self.spark, self.pmap, self.pmap.part()))) for n, df in after.items()}
+            if self.measure:
+                self.exchanged = {n: h.df.where(F.col(PART) != F.col(NEXT)).count() if self.collocate else h.rows for n, h in staged.items()}
+            self.replace({n: hold(_moved(h, self.pmap.parts, self.collocate)) for n, h in staged.items()})
+            for h in staged.values():
+                h.free()
+
+    def switch(self, pmap) -> None:
+        """Re-cut space: every agent is dealt once by the new map."""
+        world, self.pmap = self.world(), pmap
+        self.replace({n: hold(self._placed(df)) for n, df in world.items()})
+
+    def free(self) -> None:
+        for h in self.now.values():
+            h.free()
+
+
+@contextmanager
+def _as_is() -> Iterator[None]:
+    yield
+
+
+@dataclass(frozen=True)
+class Balance:
+    """Re-cut ``axis`` into ``parts`` strips of about equal load, at the end of an
+    epoch, if that is worth the move: the load that the fullest part sheds in
+    ``horizon`` ticks against ``cost`` for each agent that moves, plus ``fixed``."""
+
+    axis: str
+    parts: int
+    horizon: int = 10
+    cost: float = 1.0
+    fixed: float = 0.0
+
+
+def review(agents: DataFrame, pmap, how: Balance) -> tuple[bool, GridMap]:
+    """(worth it, new map): one pass for the splits, one that counts agents by
+    (old part, new part); both give a bounded number of rows."""
+    new = GridMap({how.axis: quantile_splits(agents, how.axis, how.parts)})
+    flows = agents.groupBy(pmap.part().alias("a"), new.part().alias("b")).agg(F.count("*").alias("n")).collect()
+    load = lambda k: [sum(r["n"] for r in flows if r[k] == p) for p in {r[k] for r in flows}] or [0]
+    moved = sum(r["n"] for r in flows if r["a"] != r["b"])
+    return should_repartition(load("a"), load("b"), moved, how.horizon, how.cost, how.fixed), new
+
+
 def run(
     world: World,
     classes: dict[str, AgentClass],
     ticks: int,
     epoch_len: int = 1,
     strategy: str = "grid",
-    pmap: GridMap | None = None,
+    pmap=None,
     path: str | None = None,
     start_tick: int = 0,
     start_epoch: int = 0,
-    balance: tuple[str, int] | None = None,
+    balance: Balance | None = None,
     spawn: Callable[[World, int], World] | None = None,
-    every_tick: bool = False,
+    storage: str = "memory",
+    collocate: bool = True,
+    history: str | None = None,
+    measure: bool = False,
 ) -> RunResult:
-    """Ticks in epochs.  The driver acts once an epoch: it writes the world to
-    the shared folder (a coordinated checkpoint), which also cuts the lineage,
-    and may re-balance.  ``balance``: (axis, parts).  ``every_tick`` writes after
-    each tick, as a conventional map-reduce system does."""
+    """Ticks in epochs.  The driver acts once an epoch: it writes the world to the
+    shared folder (a coordinated checkpoint) and may re-cut space.
+
+    ``storage``: ``memory`` holds the world between ticks, ``disk`` writes and
+    reads it at every tick, as a conventional map-reduce system does.  ``spawn``
+    adds agents before a tick.  ``history``: a folder that gets the world of every
+    tick.  ``measure`` counts the agents that change place (one more job a tick)."""
     spark = next(iter(world.values())).sparkSession
-    path = path or f"{checkpoint_dir(spark)}/run-{uuid.uuid4().hex}"
+    classes = prepare(classes)
+    path = path or scratch(spark, "run")
+    if strategy in IN_PARTS and pmap is None:
+        raise ValueError(f"{strategy} needs a partition map")
     done, epoch, out = start_tick, start_epoch, RunResult(world, start_tick, path=path)
-    main = next(iter(classes))
+    main, on_disk = next(iter(classes)), storage == "disk"
+    if history and start_tick == 0:
+        _keep_history(world, history, 0)
+    held = None
     while done < ticks:
         began = time.perf_counter()
-        for _ in range(min(1 if every_tick else epoch_len, ticks - done)):
+        for _ in range(min(epoch_len, ticks - done)):
+            started = time.perf_counter()
+            if held is None:
+                held = Holder(world, classes, strategy, pmap, collocate, measure)
             if spawn is not None:
-                world = spawn(world, done)
-            world = tick(world, classes, done, strategy, pmap)
+                held.enter(spawn, done)
+            held.step(done)
             done += 1
+            if history:
+                _keep_history(held.world(), history, done)
+            if measure:
+                out.exchanged.append(held.exchanged)
+            if on_disk:
+                world = write_checkpoint(held.world(), f"{path}/ticks", done, done)
+                held.free()
+                held = None
+            out.tick_seconds.append(time.perf_counter() - started)
         epoch += 1
-        world = write_checkpoint(world, path, epoch, done)
+        written = write_checkpoint(world if held is None else held.world(), path, epoch, done)
         out.epoch_seconds.append(time.perf_counter() - began)
         if pmap is not None:
-            out.loads.append({r["part"]: r["n"] for r in owned_counts(world[main], pmap).collect()})
-        if balance is not None:
-            pmap = initial_partition(world[main], [balance[0]], balance[1])
+            out.loads.append({r["part"]: r["n"] for r in owned_counts(written[main], pmap).collect()})
+        if balance is not None and pmap is not None:
+            worth, new = review(written[main], pmap, balance)
+            out.switched.append(worth)
+            if worth:
+                pmap = new
+                if held is not None:
+                    held.switch(pmap)
         out.maps.append(pmap)
-    out.world, out.tick = world, done
+        out.world = written
+    if held is not None:
+        held.free()
+    out.tick = done
+    return out
+
+
+def _keep_history(world: World, path: str, t: int) -> None:
+    for n, df in world.items():
+        df.write.mode("overwrite").parquet(f"{path}/{n}/tick={t}")
+
+
+def history(spark: SparkSession, path: str, name: str) -> DataFrame:
+    """All ticks of a class that ``run`` has kept; a filter on ``tick`` prunes."""
+    return spark.read.parquet(f"{path}/{name}").withColumn("tick", F.col("tick").cast("bigint"))
+
+
+def closed_ticks(world: World, classes: dict[str, AgentClass], ticks: int, pmap, halo: dict[str, tuple[int, int]], start_tick: int = 0) -> World:
+    """``ticks`` ticks after one exchange: parts get all agents within ``halo`` and
+    go on alone; in the end each gives the agents it owns.  Right if the halo is as
+    deep as anything can matter in that time (``deep_halo``, ``two_hop_halo``)."""
+    classes = prepare(classes)
+    spark = next(iter(world.values())).sparkSession
+    home = "_home"
+    with tick_settings(spark, pmap.parts):
+        now = {}
+        for n, df in world.items():
+            copies = replicate(df, pmap, halo)
+            copies = copies.withColumn(PART, label(spark, pmap, F.col("part"))).withColumn(home, label(spark, pmap, F.col("owner_part"))).drop("part", "owner_part", "is_owner")
+            now[n] = hold(copies.repartition(pmap.parts, PART))
+        for t in range(start_tick, start_tick + ticks):
+            after = closed_tick({n: h.df for n, h in now.items()}, classes, t, pmap, (PART, home))
+            old, now = now, {n: hold(df) for n, df in after.items()}
+            for h in old.values():
+                h.free()
+        out = write_checkpoint({n: h.df.where(F.col(PART) == F.col(home)).drop(PART, home) for n, h in now.items()}, scratch(spark, "closed"), 1, start_tick + ticks)
+        for h in now.values():
+            h.free()
     return out
 
 
+def deep_halo(classes: dict[str, AgentClass], ticks: int) -> dict[str, tuple[int, int]]:
+    """How far, for an axis, an agent may be and still matter within ``ticks``:
+    sight and twice the movement of each tick (its own and that of what it sees)."""
+    out: dict[str, int] = {}
+    for c in classes.values():
+        for loop in c.loops:
+            for axis, b in loop.bound.items():
+                reach = max(max(map(abs, x.states[axis].reach or (0,))) for x in classes.values() if axis in x.states)
+                if any(x.states[axis].update is not None and x.states[axis].reach is None for x in classes.values() if axis in x.states):
+                    raise ValueError(f"{axis} moves without a bound")
+                out[axis] = max(out.get(axis, 0), ticks * (max(map(abs, b)) + 2 * reach))
+    return {axis: (-far, far) for axis, far in out.items()}
+
+
 def owned_counts(agents: DataFrame, pmap: GridMap) -> DataFrame:
     return agents.groupBy(pmap.part().alias("part")).agg(F.count("*").alias("n"))
 
@@ -135,16 +374,6 @@ def movers(before: DataFrame, after: DataFrame, pmap: GridMap) -> DataFrame:
     return a.join(b, "id").where("`from` <> `to`").groupBy("from", "to").agg(F.count("*").alias("n"))
 
 
-def collocated_step(world: DataFrame, next_: DataFrame, pmap: GridMap, parts: int) -> DataFrame:
-    """Stayers keep their partition, only movers are shuffled: both sides are
-    hash-partitioned by part, so the union is too.  ``world`` has a ``part``
-    column and that partitioning already."""
-    placed = next_.withColumn("new_part", pmap.part())
-    stay = placed.where(F.col("part") == F.col("new_part")).drop("new_part")
-    move = placed.where(F.col("part") != F.col("new_part")).drop("part").withColumnRenamed("new_part", "part").repartition(parts, "part")
-    return stay.unionByName(move.select(*stay.columns))
-
-
 # -- generic iterated map-reduce ---------------------------------------------
 
 
@@ -152,7 +381,7 @@ def iterate_mapreduce(kv: DataFrame, mapper: Callable, reducer: Callable, rounds
     """kv: columns k, v.  mapper: (k, v) -> array of structs (k, v); reducer:
     (k, sorted array of v) -> array of structs (k, v).  One shuffle a round."""
     spark = kv.sparkSession
-    base = base or f"{checkpoint_dir(spark)}/mr-{uuid.uuid4().hex}"
+    base = base or scratch(spark, "mr")
     for i in range(rounds):
         mapped = kv.select(F.explode(mapper(F.col("k"), F.col("v"))).alias("m")).select("m.k", "m.v")
         grouped = mapped.groupBy("k").agg(F.array_sort(F.collect_list("v")).alias("v"))
@@ -214,23 +443,56 @@ def should_invert(message_bytes: int, extra_replica_bytes: int) -> bool:
     return message_bytes > extra_replica_bytes
 
 
-def exchange_count(df: DataFrame) -> int:
-    """Exchanges in the executed plan's static form."""
+def exchanges(df: DataFrame) -> list[str]:
+    """The exchanges of the executed plan's static form, reused ones once."""
     plan = df._jdf.queryExecution().executedPlan().toString()
-    return plan.count("Exchange hashpartitioning") + plan.count("Exchange rangepartitioning") + plan.count("Exchange SinglePartition")
+    return [m for m in re.findall(r"(?<!Reused)Exchange (hashpartitioning\(\S+|rangepartitioning\(\S+|SinglePartition)", plan)]
+
+
+def exchange_count(df: DataFrame) -> int:
+    return len(exchanges(df))
+
+
+def shuffle_bytes(spark: SparkSession, action: Callable[[], object]) -> int:
+    """Bytes that the stages of ``action`` write to their shuffles, as the
+    session's own status store has them."""
+    store = spark._jsc.sc().statusStore()
+    stages = lambda: {(s.stageId(), s.attemptId()): s.shuffleWriteBytes() for s in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(store.stageList(None))}
+    before = stages()
+    action()
+    spark._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    return sum(n for k, n in stages().items() if k not in before)
 
 
 def same_world(a: DataFrame, b: DataFrame) -> bool:
     return a.exceptAll(b.select(*a.columns)).isEmpty() and b.select(*a.columns).exceptAll(a).isEmpty()
 
 
-def traffic_stats(vehicles: DataFrame) -> DataFrame:
-    return vehicles.groupBy("lane").agg(F.count("*").alias("n"), F.sum("v").alias("speed_sum"))
+def traffic_stats(vehicles: DataFrame, length: int | None = None) -> DataFrame:
+    """Per lane: vehicles, sum of speeds; with the road's ``length`` also density
+    (vehicles a km) and flow (vehicles an hour past a place), both in thousandths;
+    lengths in decimetres, speeds in decimetres a second."""
+    out = vehicles.groupBy("lane").agg(F.count("*").alias("n"), F.sum("v").alias("speed_sum"))
+    if length is None:
+        return out
+    return out.withColumn("density", F.expr(f"n * 10000000 div {length}")).withColumn("flow", F.expr(f"speed_sum * 3600000 div {length}"))
 
 
 def school_stats(fish: DataFrame) -> DataFrame:
+    """Per class (informed of one or the other direction, the rest): size, sums of
+    places and headings, and the polarisation, |sum of headings| over the sum of
+    their lengths in thousandths."""
     kind = F.least(F.col("informed"), F.lit(2))
-    return fish.groupBy(kind.alias("class")).agg(F.count("*").alias("n"), *[F.sum(c).alias(f"sum_{c}") for c in ("x", "y", "vx", "vy")])
+    length = F.sum(F.floor(F.sqrt((F.col("vx") * F.col("vx") + F.col("vy") * F.col("vy")).cast("double"))))
+    out = fish.groupBy(kind.alias("class")).agg(F.count("*").alias("n"), *[F.sum(c).alias(f"sum_{c}") for c in ("x", "y", "vx", "vy")], length.alias("lengths"))
+    whole = F.sqrt((F.col("sum_vx") * F.col("sum_vx") + F.col("sum_vy") * F.col("sum_vy")).cast("double"))
+    return out.withColumn("polarisation", F.when(F.col("lengths") > 0, F.floor(whole * 1000 / F.col("lengths")))).drop("lengths")
+
+
+def school_split(fish: DataFrame, axis: str = "x") -> DataFrame:
+    """Distance of the two informed classes' mean places along an axis."""
+    mean = lambda k: F.floor(F.avg(F.when(F.col("informed") == k, F.col(axis))))
+    return fish.agg((mean(1) - mean(0)).alias("split"))
 
 
 def prefix_load(hist: DataFrame) -> DataFrame:

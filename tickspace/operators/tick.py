@@ -4,25 +4,30 @@ Strategies differ in how pairs are found and how often data is exchanged:
 
 * ``semantic``: loops over whole extents (nested loops), the reference meaning;
 * ``grid``: cells over the whole space;
-* ``local``: parts with replicas; effects for the looping agent itself need no
-  exchange after the pairs';
-* ``nonlocal``: as ``local``, but effects for seen agents are combined at the
-  replicas first and then, after a second exchange, at their owners.
+* ``auto``: nested loops, a broadcast of one class or cells, by the classes' sizes;
+* with a partition map, ``local``, ``nonlocal`` (cells inside a part), ``kdtree``,
+  ``sweep``, ``nearest`` (kernels inside a part): agents stay in their parts and
+  only copies for other parts' sight are exchanged.  Effects for the looping
+  agent need no more; effects for seen agents are combined at the copies first and
+  then, after a second exchange, at their owners.  (Pairs of the three kernels
+  come back without a partitioning, so their effects are exchanged once more.)
 """
 
 from __future__ import annotations
 
 import re
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.agents import COMBINATORS, REF, AgentClass, Loop
+from ..plans.agents import COMBINATORS, REF, AgentClass, Loop, prepare
 from . import visible
-from .space import GridMap
+from .space import PART, borders, place
 
 World = dict[str, DataFrame]
+IN_PARTS = ("local", "nonlocal", *visible.KERNELS)
 
 
 def _columns(expr: str) -> str:
@@ -34,57 +39,104 @@ def _needed(loop: Loop, side: str) -> list[str]:
     return list(dict.fromkeys(["id", *loop.bound, *(f for s, f in REF.findall(text) if s == side)]))
 
 
-def pairs(loop: Loop, readers: DataFrame, seen: DataFrame, same: bool, strategy: str, pmap: GridMap | None) -> DataFrame:
+def pairs(loop: Loop, readers: DataFrame, seen: DataFrame, same: bool, strategy: str, sizes: tuple[int, int] | None = None) -> DataFrame:
     a, b = readers.select(*_needed(loop, "a")), seen.select(*_needed(loop, "b"))
-    if not loop.bound or strategy == "semantic":
+    how = "grid"
+    if strategy == "auto" and sizes is not None:
+        how = visible.choose_join(*sizes, loop.bound)
+    if not loop.bound or strategy == "semantic" or how == "nested":
         out = visible.nested_loop(a, b, loop.bound)
-    elif strategy in ("local", "nonlocal") and pmap is not None:
-        out = visible.two_level(a, b, loop.bound, pmap)
+    elif how == "broadcast":
+        out = visible.broadcast_small(a, b, loop.bound)
     else:
         out = visible.grid(a, b, loop.bound)
+    return _refined(out, loop, same)
+
+
+def _refined(out: DataFrame, loop: Loop, same: bool) -> DataFrame:
     if same and not loop.include_self:
         out = out.where("a_id <> b_id")
     return out.where(_columns(loop.where)) if loop.where != "true" else out
 
 
-def _messages(p: DataFrame, assigns, receiver: str, effects, partial_part: str | None) -> DataFrame:
-    """Partial values by receiver; at the replicas first where parts are known."""
-    keys = [F.col(f"{receiver}_id").alias("id")]
-    if partial_part and partial_part in p.columns:
-        keys = [F.col(partial_part).alias("_part"), *keys]
+def _messages(p: DataFrame, assigns, keys: dict[str, str], effects) -> DataFrame:
+    """Partial values by receiver; ``keys``: column of the pairs -> its new name."""
     values = [COMBINATORS[effects[x.effect].combinator].partial(F.expr(_columns(x.value))).alias(x.effect) for x in assigns]
-    return p.groupBy(*keys).agg(*values)
+    return p.groupBy(*[F.col(c).alias(n) for c, n in keys.items()]).agg(*values)
 
 
-def query_phase(world: World, classes: dict[str, AgentClass], strategy: str = "grid", pmap: GridMap | None = None) -> dict[str, list[DataFrame]]:
+def query_phase(world: World, classes: dict[str, AgentClass], strategy: str = "grid", pmap=None, sizes: dict[str, int] | None = None) -> dict[str, list[DataFrame]]:
     """Per class the partial effect tables (id, effects...)."""
+    if strategy in IN_PARTS and pmap is not None:
+        world = {n: place(df, pmap) for n, df in world.items()}
+        return _effects_in_parts(world, classes, pmap, strategy)
     out: dict[str, list[DataFrame]] = {n: [] for n in classes}
     context = dict(world)
     stages = sorted({x.stage for c in classes.values() for x in c.loops})
     for stage in stages:
         for name, c in classes.items():
             for loop in (x for x in c.loops if x.stage == stage):
-                p = pairs(loop, context[name], world[loop.seen], name == loop.seen, strategy, pmap)
+                seen = (context if loop.context else world)[loop.seen]
+                p = pairs(loop, context[name], seen, name == loop.seen, strategy, (sizes[name], sizes[loop.seen]) if sizes else None)
                 mine = [x for x in loop.assigns if not x.to_seen]
                 away = [x for x in loop.assigns if x.to_seen]
                 if mine:
-                    out[name].append(_messages(p, mine, "a", c.effects, "a_part"))
+                    out[name].append(_messages(p, mine, {"a_id": "id"}, c.effects))
                 if away:
-                    out[loop.seen].append(_messages(p, away, "b", classes[loop.seen].effects, "b_owner_part"))
+                    out[loop.seen].append(_messages(p, away, {"b_id": "id"}, classes[loop.seen].effects))
         if stage != stages[-1]:  # later loops may read what this stage has gathered
-            for name, c in classes.items():
-                context[name] = attach(world[name], c, out[name])
+            context = {n: attach(world[n], c, out[n]) for n, c in classes.items()}
+    return out
+
+
+def _effects_in_parts(world: World, classes: dict[str, AgentClass], pmap, strategy: str, closed: bool = False) -> dict[str, list[DataFrame]]:
+    """As ``query_phase``, of placed agents; the tables have ``PART`` too.
+
+    ``closed``: every part holds all that its agents see (``runtime.closed_ticks``):
+    nothing is exchanged, and effects for seen agents stay with the part's copy."""
+    how = strategy if strategy in visible.KERNELS else "cells"
+    out: dict[str, list[DataFrame]] = {n: [] for n in classes}
+    context = dict(world)
+    stages = sorted({x.stage for c in classes.values() for x in c.loops})
+    for stage in stages:
+        for name, c in classes.items():
+            for loop in (x for x in c.loops if x.stage == stage):
+                if not loop.bound:
+                    raise ValueError(f"{name}: a loop without a bound cannot run in parts")
+                a = context[name].select(PART, *_needed(loop, "a"))
+                b = (context if loop.context else world)[loop.seen].select(PART, *_needed(loop, "b"))
+                seen = b.withColumn("_owner", F.col(PART))
+                if not closed:
+                    seen = seen.unionByName(borders(b, pmap, loop.bound))
+                find = "sweep" if how == "nearest" and not loop.nearest else how
+                p = _refined(visible.pairs_in_parts(a, seen, loop.bound, find), loop, name == loop.seen)
+                mine = [x for x in loop.assigns if not x.to_seen]
+                away = [x for x in loop.assigns if x.to_seen]
+                here = f"a_{PART}"
+                if mine:
+                    out[name].append(_messages(p, mine, {here: PART, "a_id": "id"}, c.effects))
+                if away and closed:
+                    out[loop.seen].append(_messages(p, away, {here: PART, "b_id": "id"}, classes[loop.seen].effects))
+                elif away:  # first at the copies, then with what other parts send
+                    sent = _messages(p, away, {here: "_from", "b__owner": PART, "b_id": "id"}, classes[loop.seen].effects)
+                    out[loop.seen].append(sent.drop("_from").repartition(pmap.parts, PART).withColumn("_more", F.lit(True)))
+        if stage != stages[-1]:
+            context = {n: attach(world[n], c, out[n]) for n, c in classes.items()}
     return out
 
 
 def combine(c: AgentClass, partials: list[DataFrame]) -> DataFrame | None:
-    """Merge of partials at the owner."""
+    """Merge of partials at the owner.  A single table in which every agent has
+    one row is merged already."""
     if not partials:
         return None
+    keys = [k for k in (PART, "id") if k in partials[0].columns]
+    if len(partials) == 1 and "_more" not in partials[0].columns:
+        return partials[0]
     have = {e: next((p.schema[e].dataType for p in partials if e in p.columns), None) for e in c.effects}
-    wide = [p.select("id", *[(F.col(e) if e in p.columns else F.lit(None).cast(t)).alias(e) for e, t in have.items() if t is not None]) for p in partials]
+    wide = [p.select(*keys, *[(F.col(e) if e in p.columns else F.lit(None).cast(t)).alias(e) for e, t in have.items() if t is not None]) for p in partials]
     every = reduce(DataFrame.unionByName, wide)
-    return every.groupBy("id").agg(*[COMBINATORS[c.effects[e].combinator].merge(e).alias(e) for e, t in have.items() if t is not None])
+    return every.groupBy(*keys).agg(*[COMBINATORS[c.effects[e].combinator].merge(F.col(e)).alias(e) for e, t in have.items() if t is not None])
 
 
 def attach(agents: DataFrame, c: AgentClass, partials: list[DataFrame]) -> DataFrame:
@@ -92,7 +144,8 @@ def attach(agents: DataFrame, c: AgentClass, partials: list[DataFrame]) -> DataF
     own = agents.drop(*[e for e in c.effects if e in agents.columns])
     got = combine(c, partials)
     if got is not None:
-        own = own.join(got, "id", "left")
+        keys = [k for k in (PART, "id") if k in got.columns and k in own.columns]
+        own = own.join(got if PART in keys else got.drop(PART), keys, "left")
     for e, x in c.effects.items():
         if e not in own.columns:
             own = own.withColumn(e, F.lit(x.default).cast("bigint") if not isinstance(x.default, bool) else F.lit(x.default))
@@ -101,8 +154,9 @@ def attach(agents: DataFrame, c: AgentClass, partials: list[DataFrame]) -> DataF
     return own
 
 
-def update_phase(full: DataFrame, c: AgentClass, t: int) -> DataFrame:
-    """Every rule reads the old states and the effects; one projection a let."""
+def update_phase(full: DataFrame, c: AgentClass, t: int, keep: tuple[str, ...] = ()) -> DataFrame:
+    """Every rule reads the old states and the effects; one projection a let.
+    ``keep``: columns of the engine's own that stay."""
     for name, rule in c.lets:
         value = F.expr(rule.replace("{t}", str(t)))
         # a generator of one row keeps the optimiser from writing the value out
@@ -110,18 +164,38 @@ def update_phase(full: DataFrame, c: AgentClass, t: int) -> DataFrame:
         full = full.select("*", F.explode(F.array(value)).alias(name)) if len(c.lets) > 3 else full.withColumn(name, value)
     if c.die:
         full = full.where(f"NOT ({c.die})")
-    out = [F.col("id")]
+    out = [F.col("id"), *map(F.col, keep)]
     for s, x in c.states.items():
         value = F.col(s) if x.update is None else F.expr(x.update.replace("{t}", str(t)))
         if x.reach is not None:
             value = F.greatest(F.col(s) + x.reach[0], F.least(F.col(s) + x.reach[1], value))
         out.append(value.cast(full.schema[s].dataType).alias(s))
-    return full.select(*out)
+    if c.born is None:
+        return full.select(*out)
+    given = {s: F.expr(v.replace("{t}", str(t))).cast(full.schema[s].dataType).alias(s) for s, v in c.born.states.items()}
+    child = [(F.col("id") + c.born.gap * (t + 1)).alias("id"), *map(F.col, keep), *[given.get(s, x) for s, x in zip(c.states, out[1 + len(keep) :])]]
+    me, it = F.struct(*out), F.struct(*child)
+    both = full.select(F.explode(F.when(F.expr(c.born.when.replace("{t}", str(t))), F.array(me, it)).otherwise(F.array(me))).alias("r"))
+    return both.select("r.*")
+
+
+def tick(world: World, classes: dict[str, AgentClass], t: int, strategy: str = "grid", pmap=None, sizes: dict[str, int] | None = None) -> World:
+    """The world after tick ``t``.  In parts, agents come back where they were
+    before it (column ``PART`` where the input had it)."""
+    classes = prepare(classes)
+    if strategy in IN_PARTS and pmap is not None:
+        stay = tuple(PART for df in world.values() if PART in df.columns)[:1]
+        world = {n: place(df, pmap) for n, df in world.items()}
+        partials = _effects_in_parts(world, classes, pmap, strategy)
+    else:
+        stay, partials = (), query_phase(world, classes, strategy, pmap, sizes)
+    return {n: update_phase(attach(world[n], c, partials[n]), c, t, stay) for n, c in classes.items()}
 
 
-def tick(world: World, classes: dict[str, AgentClass], t: int, strategy: str = "grid", pmap: GridMap | None = None) -> World:
-    partials = query_phase(world, classes, strategy, pmap)
-    return {n: update_phase(attach(world[n], c, partials[n]), c, t) for n, c in classes.items()}
+def closed_tick(world: World, classes: dict[str, AgentClass], t: int, pmap, keep: tuple[str, ...]) -> World:
+    """A tick in which no part looks beyond what it holds."""
+    partials = _effects_in_parts(world, classes, pmap, "local", closed=True)
+    return {n: update_phase(attach(world[n], c, partials[n]), c, t, keep) for n, c in classes.items()}
 
 
 # -- the same meaning as plain SQL, for checking against other engines ------
@@ -135,10 +209,12 @@ def _literal(v) -> str:
     return "NULL" if v is None else str(v).upper() if isinstance(v, bool) else f"CAST({v} AS BIGINT)"
 
 
-def naive_sql(classes: dict[str, AgentClass], extents: dict[str, str], ticks: int, select: str) -> str:
+def naive_sql(classes: dict[str, AgentClass], extents: dict[str, str], ticks: int, select: str, spawn: dict[str, Callable[[int], str]] | None = None) -> str:
     """WITH-query that runs the classes by nested loops; ``select`` reads
-    <class>_<ticks>.  An independent lowering: no cells, parts or replicas."""
-    ctes = [f"{n}_0 AS MATERIALIZED ({q})" for n, q in extents.items()]
+    <class>_<ticks>.  An independent lowering: no cells, parts or replicas.
+    ``spawn``: for a class the rows that enter before a tick."""
+    enters = lambda n, t: f" UNION ALL {spawn[n](t)}" if spawn and n in spawn and t < ticks else ""
+    ctes = [f"{n}_0 AS MATERIALIZED ({q}{enters(n, 0)})" for n, q in extents.items()]
     for t in range(ticks):
         stages = sorted({x.stage for c in classes.values() for x in c.loops}) or [0]
         source = {n: f"{n}_{t}" for n in classes}
@@ -156,7 +232,7 @@ def naive_sql(classes: dict[str, AgentClass], extents: dict[str, str], ticks: in
                         some = [x for x in loop.assigns if x.to_seen == (side == "b")]
                         if some:
                             cte = f"m_{n}_{t}_{k}_{side}"
-                            ctes.append(f"{cte} AS MATERIALIZED (SELECT {side}.id AS id, {', '.join(f'{_sql_effect(effects, x)} AS {x.effect}' for x in some)} FROM {source[n]} a JOIN {loop.seen}_{t} b ON {' AND '.join(on)} GROUP BY {side}.id)")
+                            ctes.append(f"{cte} AS MATERIALIZED (SELECT {side}.id AS id, {', '.join(f'{_sql_effect(effects, x)} AS {x.effect}' for x in some)} FROM {source[n]} a JOIN {source[loop.seen] if loop.context else f'{loop.seen}_{t}'} b ON {' AND '.join(on)} GROUP BY {side}.id)")
                             parts[to] += [(x.effect, cte) for x in some]
             for n, c in classes.items():
                 cols = [f"s.{x}" for x in c.columns()]
@@ -184,12 +260,15 @@ def naive_sql(classes: dict[str, AgentClass], extents: dict[str, str], ticks: in
             inner = f"SELECT * FROM {source[n]}"
             for name, rule in c.lets:
                 inner = f"SELECT *, {rule.replace('{t}', str(t))} AS {name} FROM ({inner})"
-            cols = ["id"]
+            cols, child = ["id"], [f"id + {c.born.gap * (t + 1)} AS id"] if c.born else []
             for s, x in c.states.items():
                 value = s if x.update is None else x.update.replace("{t}", str(t))
                 if x.reach is not None:
                     value = f"greatest({s} + {x.reach[0]}, least({s} + {x.reach[1]}, {value}))"
                 cols.append(f"CAST({value} AS BIGINT) AS {s}" if x.update is not None else s)
+                if c.born:
+                    child.append(f"CAST({c.born.states[s].replace('{t}', str(t))} AS BIGINT) AS {s}" if s in c.born.states else cols[-1])
             where = f" WHERE NOT ({c.die})" if c.die else ""
-            ctes.append(f"{n}_{t + 1} AS MATERIALIZED (SELECT {', '.join(cols)} FROM ({inner}){where})")
+            more = f" UNION ALL SELECT {', '.join(child)} FROM ({inner}) WHERE {f'NOT ({c.die}) AND ' if c.die else ''}({c.born.when.replace('{t}', str(t))})" if c.born else ""
+            ctes.append(f"{n}_{t + 1} AS MATERIALIZED (SELECT {', '.join(cols)} FROM ({inner}){where}{more}{enters(n, t + 1)})")
     return "WITH " + ",\n".join(ctes) + "\n" + re.sub(r"\{T\}", str(ticks), select)

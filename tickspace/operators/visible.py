@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .space import GridMap, replicate
+from .space import PART, GridMap, borders, place, replicate
 
 Bound = dict[str, tuple[int, int]]
 
@@ -95,39 +95,135 @@ def _kd_pairs(ax: np.ndarray, bx: np.ndarray, low: np.ndarray, high: np.ndarray,
     return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (np.zeros(0, np.int64), np.zeros(0, np.int64))
 
 
-def kd_tree(a: DataFrame, b: DataFrame, bound: Bound, pmap: GridMap) -> DataFrame:
-    """A median tree inside each part, as an Arrow kernel over owned agents and
-    replicas.  Gives a_id and b_id; parts must fit a task (see GridMap)."""
-    axes = list(bound)
+def _sweep_pairs(ax: np.ndarray, bx: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(i, j) as ``_kd_pairs``, by a sorted sweep along the first axis."""
+    order = np.argsort(bx[:, 0], kind="stable")
+    line = bx[order, 0]
+    lo, hi = np.searchsorted(line, ax[:, 0] + low[0], "left"), np.searchsorted(line, ax[:, 0] + high[0], "right")
+    n = np.maximum(hi - lo, 0)
+    i = np.repeat(np.arange(len(ax)), n)
+    j = order[np.repeat(lo, n) + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)]
+    ok = ((bx[j, 1:] - ax[i, 1:] >= low[1:]) & (bx[j, 1:] - ax[i, 1:] <= high[1:])).all(1)
+    return i[ok], j[ok]
+
+
+def _nearest_pairs(ax: np.ndarray, bx: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of ``_sweep_pairs``, those nearest along the first axis, one way and the
+    other, for each offset of the further axes; all agents of such a place."""
+    if not len(ax) or not len(bx):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    lanes, lane = np.unique(bx[:, 1:], axis=0, return_inverse=True)
+    order = np.lexsort((bx[:, 0], lane.ravel()))
+    of, line = lane.ravel()[order], bx[order, 0]
+    new = np.append(True, (of[1:] != of[:-1]) | (line[1:] != line[:-1]))
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(order))
+    lane_at = np.searchsorted(of[first], np.arange(len(lanes) + 1))
+    out_i, out_j = [], []
+    for k in range(len(lanes)):
+        near = np.flatnonzero(((lanes[k] - ax[:, 1:] >= low[1:]) & (lanes[k] - ax[:, 1:] <= high[1:])).all(1))
+        spots = line[first[lane_at[k] : lane_at[k + 1]]]
+        at = np.searchsorted(spots, ax[near, 0], "left")
+        here = (at < len(spots)) & (spots[np.minimum(at, len(spots) - 1)] == ax[near, 0])
+        for g, ok in ((at, here), (at + here, np.ones(len(near), bool)), (at - 1, np.ones(len(near), bool))):
+            ok = ok & (g >= 0) & (g < len(spots))
+            gap = spots[g[ok]] - ax[near[ok], 0]
+            fits = (gap >= low[0]) & (gap <= high[0])
+            spot, reader = lane_at[k] + g[ok][fits], near[ok][fits]
+            n = last[spot] - first[spot]
+            out_i.append(np.repeat(reader, n))
+            out_j.append(order[np.repeat(first[spot], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)])
+    return np.concatenate(out_i), np.concatenate(out_j)
+
+
+KERNELS = {"kdtree": _kd_pairs, "sweep": _sweep_pairs, "nearest": _nearest_pairs}
+
+
+def pairs_in_parts(own: DataFrame, seen: DataFrame, bound: Bound, how: str = "cells") -> DataFrame:
+    """Pairs (a_*, b_*) of placed readers and of the agents in their part; both
+    sides hold column ``PART``.  ``cells``: an equi-join that needs no exchange
+    beyond the placing; else a kernel on each part's Arrow tables."""
+    left, right = _side(own, "a"), _side(seen, "b")
+    mine, its = f"a_{PART}", f"b_{PART}"
+    if how == "cells":
+        floor = lambda c, w: F.floor(c / F.lit(float(w))).cast("bigint")
+        for x, (lo, hi) in bound.items():
+            w = max(1, abs(lo), abs(hi))
+            left = left.withColumn(f"ca_{x}", F.explode(F.sequence(floor(F.col(f"a_{x}") + lo, w), floor(F.col(f"a_{x}") + hi, w))))
+            right = right.withColumn(f"cb_{x}", floor(F.col(f"b_{x}"), w))
+        both = [F.col(mine) == F.col(its), *(F.col(f"ca_{x}") == F.col(f"cb_{x}") for x in bound)]
+        return left.join(right, both).where(_inside(bound)).drop(its, *(f"c{s}_{x}" for s in "ab" for x in bound))
+    find, axes = KERNELS[how], list(bound)
     low, high = (np.array([bound[x][k] for x in axes]) for k in (0, 1))
-    left = a.withColumn("part", pmap.part()).select("part", F.col("id"), *axes)
-    right = replicate(b, pmap, bound).select("part", F.col("id"), *axes)
 
-    def run(key, mine, seen):
-        m, s = ([t.column(c).to_numpy() for c in ("id", *axes)] for t in (mine, seen))
-        i, j = _kd_pairs(np.stack(m[1:], 1), np.stack(s[1:], 1), low, high)
-        return pa.table({"a_id": pa.array(m[0][i], pa.int64()), "b_id": pa.array(s[0][j], pa.int64())})
+    def run(key, a, b):
+        i, j = find(*(np.stack([t.column(f"{p}_{x}").to_numpy() for x in axes], 1) for t, p in ((a, "a"), (b, "b"))), low, high)
+        a, b = a.take(pa.array(i)), b.drop_columns([its]).take(pa.array(j))
+        return pa.table([*a.columns, *b.columns], names=[*a.column_names, *b.column_names])
 
-    return left.groupBy("part").cogroup(right.groupBy("part")).applyInArrow(run, "a_id bigint, b_id bigint")
+    kind = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in [*left.schema, *right.drop(its).schema])
+    return left.groupBy(mine).cogroup(right.groupBy(its)).applyInArrow(run, kind)
 
 
-def nearest_ahead(agents: DataFrame, by: str, axis: str, m: int = 1) -> DataFrame:
-    """The m next agents along ``axis`` with the same ``by``: (id, rank, other,
-    gap).  A window by (``by``, blocks of ``axis``) would bound a lane's task."""
-    w = Window.partitionBy(by).orderBy(axis, "id")
-    out = None
-    for k in range(1, m + 1):
-        one = agents.select("id", F.lit(k).alias("rank"), F.lead("id", k).over(w).alias("other"), (F.lead(axis, k).over(w) - F.col(axis)).alias("gap")).where("other is not null")
-        out = one if out is None else out.unionByName(one)
-    return out
+def kd_tree(a: DataFrame, b: DataFrame, bound: Bound, pmap, how: str = "kdtree") -> DataFrame:
+    """A median tree (or another of ``KERNELS``) inside each part, over owned
+    agents and replicas; ``parts_for`` sizes the parts so that one fits a task."""
+    own = place(a, pmap)
+    seen = place(b, pmap)
+    seen = seen.withColumn("_owner", F.col(PART)).unionByName(borders(seen, pmap, bound))
+    return pairs_in_parts(own, seen, bound, how).withColumnsRenamed({f"a_{PART}": "a_part", "b__owner": "b_owner_part"})
+
+
+def parts_for(rows: int, rows_a_part: int = 200_000) -> int:
+    """How many parts keep each within what one task holds."""
+    return max(1, -(-rows // rows_a_part))
 
 
-def sweep_counts(agents: DataFrame, by: str, axis: str, low: int, high: int) -> DataFrame:
+def _blocked(agents: DataFrame, by: str, axis: str, low: int, high: int, block: int) -> DataFrame:
+    """Each row in its block of ``axis`` (``_own``) and in the others from which
+    an offset in [low, high] reaches it."""
+    cell = lambda c: F.floor(c / F.lit(float(block))).cast("bigint")
+    at = agents.withColumn("_home", cell(F.col(axis)))
+    spread = F.sequence(cell(F.col(axis) - high), cell(F.col(axis) - low))
+    return at.withColumn("_block", F.explode(F.array_union(F.array("_home"), spread))).withColumn("_own", F.col("_block") == F.col("_home"))
+
+
+def nearest_ahead(agents: DataFrame, by: str, axis: str, m: int = 1, block: int = 100_000) -> DataFrame:
+    """The m next agents along ``axis`` with the same ``by``: (id, rank, other,
+    gap).  Windows hold a block of the axis and the first m agents beyond it,
+    which come from the blocks' own first m: no task holds a lane."""
+    rows = agents.select("id", F.col(by).alias("_by"), F.col(axis).alias("_at"), F.floor(F.col(axis) / F.lit(float(block))).alias("_block"))
+    k = F.row_number().over(Window.partitionBy("_by", "_block").orderBy("_at", "id"))
+    first = rows.withColumn("k", k).where(F.col("k") <= m).groupBy("_by", "_block").agg(F.array_sort(F.collect_list(F.struct("_at", "id"))).alias("f"))
+    w = Window.partitionBy("_by").orderBy("_block")  # a row a block
+    beyond = F.slice(F.flatten(F.collect_list("f").over(w.rowsBetween(1, m))), 1, m)
+    after = first.withColumn("b", beyond).select("_by", "_block", F.explode("b").alias("x")).select("x.id", "_by", "x._at", "_block", F.lit(False).alias("_own"))
+    every = rows.withColumn("_own", F.lit(True)).unionByName(after)
+    here = Window.partitionBy("_by", "_block").orderBy("_at", "id")
+    near = F.collect_list(F.struct("id", "_at")).over(here.rowsBetween(1, m))
+    out = every.withColumn("near", near).where("_own").select("id", "_at", F.posexplode("near").alias("rank", "x"))
+    return out.select("id", (F.col("rank") + 1).alias("rank"), F.col("x.id").alias("other"), (F.col("x._at") - F.col("_at")).alias("gap"))
+
+
+def sweep_counts(agents: DataFrame, by: str, axis: str, low: int, high: int, block: int | None = None) -> DataFrame:
     """(id, n, sum_id) over others of the same ``by`` within [low, high] along
-    ``axis``: a sorted sweep that makes no pairs."""
-    w = Window.partitionBy(by).orderBy(axis).rangeBetween(low, high)
+    ``axis``: a sorted sweep that makes no pairs, over blocks of the axis with
+    the rows beyond their borders that are within reach."""
+    block = block or 64 * max(1, high - low)
+    w = Window.partitionBy(by, "_block").orderBy(axis).rangeBetween(low, high)
     inside = F.lit(int(low <= 0 <= high))
-    return agents.select("id", (F.count("*").over(w) - inside).alias("n"), (F.sum("id").over(w) - inside * F.col("id")).alias("sum_id"))
+    rows = _blocked(agents.select("id", by, axis), by, axis, low, high, block)
+    swept = rows.select("id", "_own", (F.count("*").over(w) - inside).alias("n"), F.sum("id").over(w).alias("s"))
+    return swept.where("_own").select("id", "n", (F.coalesce("s", F.lit(0)) - inside * F.col("id")).alias("sum_id"))
+
+
+def range_join(points: DataFrame, at: str, ranges: DataFrame, low: str, high: str, cell: int) -> DataFrame:
+    """Points and the ranges [low, high] that hold them, by an equi-join on
+    cells of the axis; a range is copied to the cells it meets."""
+    floor = lambda c: F.floor(c / F.lit(float(cell))).cast("bigint")
+    left = points.withColumn("_cell", floor(F.col(at)))
+    right = ranges.where(F.col(low) <= F.col(high)).withColumn("_cell", F.explode(F.sequence(floor(F.col(low)), floor(F.col(high)))))
+    return left.join(right, "_cell").where(F.col(at).between(F.col(low), F.col(high))).drop("_cell")
 
 
 def choose_join(n_readers: int, n_seen: int, bound: Bound, small: int = 2_000) -> str:

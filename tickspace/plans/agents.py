@@ -26,6 +26,11 @@ class Combinator:
     sql: str = ""
 
 
+def _times(values: Column) -> Column:
+    """Exact product of an agent's few partial values; overflow raises."""
+    return F.when(F.size(values) > 0, F.aggregate(values, F.lit(1).cast("bigint"), lambda a, x: a * x))
+
+
 COMBINATORS = {
     c.name: c
     for c in (
@@ -38,6 +43,8 @@ COMBINATORS = {
         Combinator("bit_or", F.bit_or, F.bit_or, 0, "bit_or({})"),
         Combinator("bit_and", F.bit_and, F.bit_and, -1, "bit_and({})"),
         Combinator("bit_xor", F.bit_xor, F.bit_xor, 0, "bit_xor({})"),
+        Combinator("product", lambda c: _times(F.collect_list(c)), lambda c: _times(F.collect_list(c)), 1, "CAST(product({}) AS BIGINT)"),
+        Combinator("hll", F.hll_sketch_agg, F.hll_union_agg, None, "count(DISTINCT {})"),
         Combinator("set", lambda c: F.array_sort(F.collect_set(c)), lambda c: F.array_sort(F.array_distinct(F.flatten(F.collect_list(c)))), None, "list_sort(list_distinct(list({})))"),
     )
 }
@@ -68,9 +75,16 @@ def top_m(m: int) -> Combinator:
     return Combinator(f"top{m}", lambda c: cut(F.collect_list(c)), lambda c: cut(F.flatten(F.collect_list(c))))
 
 
-def mean_parts(value: Column) -> tuple[Column, Column]:
-    """The mean's partials: sum and count; divide after merging."""
-    return F.sum(value), F.count(value)
+def histogram(edges: list[int]) -> Combinator:
+    """Counts of the values below, between and from the edges on, as an array."""
+    low, high = [None, *edges], [*edges, None]
+
+    def partial(c):
+        c = F.expr(c) if isinstance(c, str) else c
+        inside = [(F.lit(True) if a is None else c >= a) & (F.lit(True) if b is None else c < b) for a, b in zip(low, high)]
+        return F.array(*[F.count_if(x) for x in inside])
+
+    return Combinator("histogram_" + "_".join(map(str, edges)).replace("-", "m"), partial, lambda c: F.array(*[F.sum(F.element_at(c, i + 1)) for i in range(len(low))]))
 
 
 @dataclass(frozen=True)
@@ -107,6 +121,19 @@ class Loop:
     where: str = "true"
     include_self: bool = False
     stage: int = 0  #: effects of earlier stages may be read as a.<effect>
+    nearest: bool = False  #: only the agents nearest along the first axis matter
+    context: bool = False  #: b.<effect> of earlier stages is read (made by ``invert``)
+
+
+@dataclass(frozen=True)
+class Born:
+    """A child for each agent that fulfils ``when`` after its update: the states
+    not given are the parent's new ones; the id is the parent's plus ``gap`` times
+    the number of the tick after this one."""
+
+    when: str
+    states: dict[str, str] = field(default_factory=dict)
+    gap: int = 1_000_000_000
 
 
 @dataclass(frozen=True)
@@ -117,6 +144,7 @@ class AgentClass:
     loops: tuple[Loop, ...] = ()
     lets: tuple[tuple[str, str], ...] = ()  #: named intermediate values of the update
     die: str | None = None
+    born: Born | None = None
 
     def columns(self) -> list[str]:
         return ["id", *self.states]
@@ -163,36 +191,60 @@ def check(world: dict[str, AgentClass]) -> list[str]:
             for text in [loop.where, *(a.value for a in loop.assigns)]:
                 for side, name in REF.findall(text):
                     owner = c if side == "a" else seen
-                    if name in owner.effects and not (side == "a" and name in early):
+                    known = early if side == "a" else {a.effect for x in seen.loops if loop.context and x.stage < loop.stage for a in x.assigns if not a.to_seen}
+                    if name in owner.effects and name not in known:
                         out.append(f"EFFECT_READ_IN_LOOP: {owner.name}.{name}")
                     elif name != "id" and name not in owner.states and name not in owner.effects:
                         out.append(f"UNKNOWN_FIELD: {owner.name}.{name}")
     return out
 
 
+def reads_effects(loop: Loop, side: str, c: AgentClass) -> bool:
+    return any(s == side and f in c.effects for s, f in REF.findall(" ".join([loop.where, *(a.value for a in loop.assigns)])))
+
+
 def invert(world: dict[str, AgentClass]) -> dict[str, AgentClass]:
-    """The same world with every direct non-local assignment made local: the
-    receiver loops over the writers, with the bound mirrored.  Loops that read
-    an effect of an earlier stage are kept (see ``operators.tick.two_hop``)."""
+    """The same world with every non-local assignment made local: the receiver
+    loops over the writers, with the bound mirrored.
+
+    Where the writer passes on what its own loop has gathered (a two-hop script),
+    the receiver reads the writer's effect: whoever runs the loop for a part must
+    rebuild it from the writer's neighbours, so the part needs agents of the sum of
+    both bounds (``runtime.closed_ticks`` with ``two_hop_halo``)."""
     loops = {n: [] for n in world}
     for c in world.values():
         for loop in c.loops:
-            away = [a for a in loop.assigns if a.to_seen and not any(s == "a" and f in c.effects for s, f in REF.findall(a.value + loop.where))]
-            stay = tuple(a for a in loop.assigns if a not in away)
+            away = [a for a in loop.assigns if a.to_seen]
+            stay = tuple(a for a in loop.assigns if not a.to_seen)
             if stay:
                 loops[c.name].append(replace(loop, assigns=stay))
             if away:
                 mirrored = {axis: (-hi, -lo) for axis, (lo, hi) in loop.bound.items()}
-                loops[loop.seen].append(replace(loop, seen=c.name, bound=mirrored, where=swap(loop.where), assigns=tuple(Assign(a.effect, swap(a.value)) for a in away)))
+                back = replace(loop, seen=c.name, bound=mirrored, where=swap(loop.where), assigns=tuple(Assign(a.effect, swap(a.value)) for a in away))
+                loops[loop.seen].append(replace(back, context=reads_effects(back, "b", c)))
     return {n: replace(c, loops=tuple(loops[n])) for n, c in world.items()}
 
 
+def two_hop_halo(world: dict[str, AgentClass]) -> dict[str, tuple[int, int]]:
+    """How far, for an axis, a tick's local loops look in all: a loop's bound,
+    plus the bounds of the loops whose effects it reads of the agents seen."""
+    out: dict[str, int] = {}
+    for c in world.values():
+        for loop in c.loops:
+            inner = [x for x in world[loop.seen].loops if loop.context and x.stage < loop.stage]
+            for axis, b in loop.bound.items():
+                far = max(map(abs, b)) + max((max(map(abs, x.bound.get(axis, (0, 0)))) for x in inner), default=0)
+                out[axis] = max(out.get(axis, 0), far)
+    return {axis: (-far, far) for axis, far in out.items()}
+
+
 def fuse_loops(c: AgentClass) -> AgentClass:
     """Loops over one extent with one bound become one pair relation."""
     out: list[Loop] = []
+    kind = lambda x: replace(x, assigns=())
     for loop in c.loops:
         for i, o in enumerate(out):
-            if (o.seen, o.bound, o.where, o.include_self, o.stage) == (loop.seen, loop.bound, loop.where, loop.include_self, loop.stage):
+            if kind(o) == kind(loop) and not {a.effect for a in o.assigns} & {a.effect for a in loop.assigns}:
                 out[i] = replace(o, assigns=o.assigns + loop.assigns)
                 break
         else:
@@ -205,7 +257,8 @@ def drop_dead_effects(world: dict[str, AgentClass]) -> dict[str, AgentClass]:
     out = {}
     live = {}
     for c in world.values():
-        text = " ".join([*(s.update or "" for s in c.states.values()), *(e for _, e in c.lets), c.die or "", *(a.value for x in c.loops for a in x.assigns)])
+        loops = [x for o in world.values() for x in o.loops]
+        text = " ".join([*(s.update or "" for s in c.states.values()), *(e for _, e in c.lets), c.die or "", *((c.born.when, *c.born.states.values()) if c.born else ()), *(t for x in loops for t in (x.where, *(a.value for a in x.assigns)))])
         live[c.name] = {e for e in c.effects if re.search(rf"\b{e}\b", text)}
     for c in world.values():
         loops = []
@@ -215,3 +268,10 @@ def drop_dead_effects(world: dict[str, AgentClass]) -> dict[str, AgentClass]:
                 loops.append(replace(x, assigns=keep))
         out[c.name] = replace(c, loops=tuple(loops), effects={e: v for e, v in c.effects.items() if e in live[c.name]})
     return out
+
+
+def prepare(world: dict[str, AgentClass]) -> dict[str, AgentClass]:
+    """Checked, without dead effects, loops fused: what ticks and runs execute."""
+    if bad := check(world):
+        raise ValueError("; ".join(bad))
+    return {n: fuse_loops(c) for n, c in drop_dead_effects(world).items()}
