@@ -117,12 +117,15 @@ class Held:
 
 def hold(df: DataFrame) -> Held:
     """Compute ``df`` and keep it, spilling to disk.  The plan handed out begins at
-    the kept table, with its partitioning; a lost block is computed anew."""
+    the kept rows and knows how they are partitioned, but nothing of how they came
+    about: plans do not grow.  A lost block is computed anew, by lineage."""
     spark = df.sparkSession
     df.persist(StorageLevel.MEMORY_AND_DISK)
     rows = df.count()
-    leaf = spark._jvm.org.apache.spark.sql.classic.Dataset.ofRows(spark._jsparkSession, df._jdf.queryExecution().withCachedData())
-    return Held(DataFrame(leaf, spark), rows, df)
+    sql = spark._jvm.org.apache.spark.sql
+    kept = sql.classic.Dataset.ofRows(spark._jsparkSession, df._jdf.queryExecution().withCachedData())
+    leaf = getattr(getattr(sql.execution, "LogicalRDD$"), "MODULE$").fromDataset(kept.queryExecution().toRdd(), kept, False)
+    return Held(DataFrame(sql.classic.Dataset.ofRows(spark._jsparkSession, leaf), spark), rows, df)
 
 
 @contextmanager
@@ -253,6 +256,7 @@ def run(
     collocate: bool = True,
     history: str | None = None,
     measure: bool = False,
+    lineage_ticks: int = 64,
 ) -> RunResult:
     """Ticks in epochs.  The driver acts once an epoch: it writes the world to the
     shared folder (a coordinated checkpoint) and may re-cut space.
@@ -260,7 +264,9 @@ def run(
     ``storage``: ``memory`` holds the world between ticks, ``disk`` writes and
     reads it at every tick, as a conventional map-reduce system does.  ``spawn``
     adds agents before a tick.  ``history``: a folder that gets the world of every
-    tick.  ``measure`` counts the agents that change place (one more job a tick)."""
+    tick.  ``measure`` counts the agents that change place (one more job a tick).
+    After ``lineage_ticks`` ticks the next epoch starts from the written world, so
+    that no lineage grows without end."""
     spark = next(iter(world.values())).sparkSession
     classes = prepare(classes)
     path = path or scratch(spark, "run")
@@ -270,13 +276,13 @@ def run(
     main, on_disk = next(iter(classes)), storage == "disk"
     if history and start_tick == 0:
         _keep_history(world, history, 0)
-    held = None
+    held, since = None, start_tick
     while done < ticks:
         began = time.perf_counter()
         for _ in range(min(epoch_len, ticks - done)):
             started = time.perf_counter()
             if held is None:
-                held = Holder(world, classes, strategy, pmap, collocate, measure)
+                held, since = Holder(world, classes, strategy, pmap, collocate, measure), done
             if spawn is not None:
                 held.enter(spawn, done)
             held.step(done)
@@ -303,7 +309,10 @@ def run(
                 if held is not None:
                     held.switch(pmap)
         out.maps.append(pmap)
-        out.world = written
+        out.world = world = written
+        if held is not None and done - since >= lineage_ticks:
+            held.free()
+            held = None
     if held is not None:
         held.free()
     out.tick = done
@@ -444,9 +453,17 @@ def should_invert(message_bytes: int, extra_replica_bytes: int) -> bool:
 
 
 def exchanges(df: DataFrame) -> list[str]:
-    """The exchanges of the executed plan's static form, reused ones once."""
-    plan = df._jdf.queryExecution().executedPlan().toString()
-    return [m for m in re.findall(r"(?<!Reused)Exchange (hashpartitioning\(\S+|rangepartitioning\(\S+|SinglePartition)", plan)]
+    """The exchanges of the executed plan's static form, reused ones once; not
+    those by which a cached table was made."""
+    out, inside = [], None
+    for line in df._jdf.queryExecution().executedPlan().toString().split("\n"):
+        depth = len(line) - len(line.lstrip(" :+-"))
+        if inside is not None and depth > inside:
+            continue
+        inside = depth if "InMemoryRelation" in line else None
+        if m := re.search(r"(?<!Reused)Exchange ((?:hash|range)partitioning\(.*?\d\)|SinglePartition)", line):
+            out.append(m[1])
+    return out
 
 
 def exchange_count(df: DataFrame) -> int:
@@ -457,7 +474,12 @@ def shuffle_bytes(spark: SparkSession, action: Callable[[], object]) -> int:
     """Bytes that the stages of ``action`` write to their shuffles, as the
     session's own status store has them."""
     store = spark._jsc.sc().statusStore()
-    stages = lambda: {(s.stageId(), s.attemptId()): s.shuffleWriteBytes() for s in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(store.stageList(None))}
+    none = spark._jvm.java.util.ArrayList()
+
+    def stages():
+        every = store.stageList(none, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), none)
+        return {(s.stageId(), s.attemptId()): s.shuffleWriteBytes() for s in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(every)}
+
     before = stages()
     action()
     spark._jsc.sc().listenerBus().waitUntilEmpty(30_000)

@@ -105,7 +105,9 @@ def _effects_in_parts(world: World, classes: dict[str, AgentClass], pmap, strate
                     raise ValueError(f"{name}: a loop without a bound cannot run in parts")
                 a = context[name].select(PART, *_needed(loop, "a"))
                 b = (context if loop.context else world)[loop.seen].select(PART, *_needed(loop, "b"))
-                seen = b.withColumn("_owner", F.col(PART))
+                # of the part's own agents the owner is told after the join: a second
+                # name of the part would hide how the rows are dealt
+                seen = b.withColumn("_owner", F.lit(None).cast("int"))
                 if not closed:
                     seen = seen.unionByName(borders(b, pmap, loop.bound))
                 find = "sweep" if how == "nearest" and not loop.nearest else how
@@ -113,6 +115,7 @@ def _effects_in_parts(world: World, classes: dict[str, AgentClass], pmap, strate
                 mine = [x for x in loop.assigns if not x.to_seen]
                 away = [x for x in loop.assigns if x.to_seen]
                 here = f"a_{PART}"
+                p = p.withColumn("b__owner", F.coalesce("b__owner", here))
                 if mine:
                     out[name].append(_messages(p, mine, {here: PART, "a_id": "id"}, c.effects))
                 if away and closed:

@@ -170,8 +170,9 @@ def kd_tree(a: DataFrame, b: DataFrame, bound: Bound, pmap, how: str = "kdtree")
     agents and replicas; ``parts_for`` sizes the parts so that one fits a task."""
     own = place(a, pmap)
     seen = place(b, pmap)
-    seen = seen.withColumn("_owner", F.col(PART)).unionByName(borders(seen, pmap, bound))
-    return pairs_in_parts(own, seen, bound, how).withColumnsRenamed({f"a_{PART}": "a_part", "b__owner": "b_owner_part"})
+    seen = seen.withColumn("_owner", F.lit(None).cast("int")).unionByName(borders(seen, pmap, bound))
+    found = pairs_in_parts(own, seen, bound, how).withColumnsRenamed({f"a_{PART}": "a_part", "b__owner": "b_owner_part"})
+    return found.withColumn("b_owner_part", F.coalesce("b_owner_part", "a_part"))
 
 
 def parts_for(rows: int, rows_a_part: int = 200_000) -> int:
