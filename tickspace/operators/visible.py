@@ -136,7 +136,19 @@ def _nearest_pairs(ax: np.ndarray, bx: np.ndarray, low: np.ndarray, high: np.nda
     return np.concatenate(out_i), np.concatenate(out_j)
 
 
-KERNELS = {"kdtree": _kd_pairs, "sweep": _sweep_pairs, "nearest": _nearest_pairs}
+def _all_pairs(ax: np.ndarray, bx: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(i, j) as ``_kd_pairs``, without an index (baseline): all are compared."""
+    out_i, out_j = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    step = max(1, (1 << 22) // max(1, len(bx)))
+    for at in range(0, len(ax), step):
+        diff = bx[None, :, :] - ax[at : at + step, None, :]
+        i, j = np.nonzero(((diff >= low) & (diff <= high)).all(2))
+        out_i.append(i + at)
+        out_j.append(j)
+    return np.concatenate(out_i), np.concatenate(out_j)
+
+
+KERNELS = {"all": _all_pairs, "kdtree": _kd_pairs, "sweep": _sweep_pairs, "nearest": _nearest_pairs}
 
 
 def pairs_in_parts(own: DataFrame, seen: DataFrame, bound: Bound, how: str = "cells") -> DataFrame:
