@@ -105,18 +105,41 @@ class Records:
         return np.tile(some, 4), np.concatenate([mix(leaf ^ mix(h, 28 + i), 40) for i, h in enumerate(halves)])
 
 
-def records(data: np.ndarray, off: np.ndarray) -> Records:
-    w = words(data, off, BLANKS, cuts=script_cuts(data))
-    m = len(w.start)
-    if not m:
-        z = np.zeros(0, np.int64)
-        return Records(z, z, z, z, np.zeros(0, U), z.astype(bool), w, np.zeros(0, U), sums(np.zeros(0, U)))
+def _layout(data: np.ndarray, off: np.ndarray, hashed: bool) -> tuple[Words, np.ndarray, np.ndarray]:
+    """Words, those that open a line, those that open a record."""
+    w = words(data, off, BLANKS, cuts=script_cuts(data), hashed=hashed)
     breaks = np.zeros(len(data) + 1, np.int32)
     np.cumsum(data == 10, out=breaks[1:])
-    lines = np.ones(m, bool)
+    lines = np.ones(len(w.start), bool)
     lines[1:] = (w.text[1:] != w.text[:-1]) | (breaks[w.start[1:]] > breaks[w.end[:-1]])
     opens = lines.copy()
     opens[1:] |= _STOPS[data[w.end[:-1] - 1]]
+    return w, lines, opens
+
+
+@dataclass
+class Places:
+    """Where the records of all texts lie: text row, first word, end word; and
+    the words, without their hashes."""
+
+    text: np.ndarray
+    first: np.ndarray
+    last: np.ndarray
+    words: Words
+
+
+def places(data: np.ndarray, off: np.ndarray) -> Places:
+    w, _, opens = _layout(data, off, False)
+    first = np.flatnonzero(opens)
+    return Places(w.text[first], first, np.append(first[1:], len(opens))[: len(first)], w)
+
+
+def records(data: np.ndarray, off: np.ndarray) -> Records:
+    w, lines, opens = _layout(data, off, True)
+    m = len(w.start)
+    if not m:
+        z = np.zeros(0, np.int64)
+        return Records(z, z, z, z, np.zeros(0, U), z.astype(bool), w, np.zeros(0, U), sums(np.zeros(0, U)))
     digits = np.zeros(len(data) + 1, np.int32)
     np.cumsum(_DIGIT[data], out=digits[1:])
     field = digits[w.end] > digits[w.start]
@@ -225,7 +248,7 @@ def recurring(recs: DataFrame) -> DataFrame:
     return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("need").alias("need")).where("docs >= need").select("template", "keeper")
 
 
-def _lost(r: Records, lo: int, hi: int, base: int, gone: list | None) -> np.ndarray:
+def _lost(r: Records | Places, lo: int, hi: int, base: int, gone: list | None) -> np.ndarray:
     """Steps at the words lo..hi of one text, whose running sum is above zero
     where a dropped record lies; ``base``: the text's first record."""
     step = np.zeros(hi - lo + 1, np.int32)
@@ -266,7 +289,7 @@ def _rebuild(at_text: int, n_columns: int, run_tokens: int):
             old, out, lost, had = batch.column(at_text), [], [], []
             drops, cuts = (batch.column(n_columns + i).to_pylist() for i in range(2))
             for row, end, data, off in chunks(old):
-                r = records(data, off)
+                r = places(data, off)
                 w, first = r.words, r.words.first(end - row)
                 bounds = np.searchsorted(r.text, np.arange(end - row + 1))
                 for i in range(end - row):

@@ -123,9 +123,10 @@ def script_cuts(data: np.ndarray) -> np.ndarray | None:
     return np.concatenate([at, at + 3 + (data[at] == 0xF0)])
 
 
-def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: tuple[int, ...] = (), cuts: np.ndarray | None = None) -> Words | tuple:
+def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: tuple[int, ...] = (), cuts: np.ndarray | None = None, hashed: bool = True) -> Words | tuple:
     """Words of all texts, A-Z lower-cased; with ``prefixes`` also the hashes
-    of the words' first so many bytes; ``cuts``: where words begin besides."""
+    of the words' first so many bytes; ``cuts``: where words begin besides;
+    not ``hashed``: places only, the hashes are zeros."""
     parts, at, n = [], 0, len(data)
     bounds = np.zeros(n + 1, bool)
     bounds[off] = True
@@ -151,6 +152,10 @@ def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: t
         after[-1] = False
         after[:-1] = inside[1:] & ~edge[1:]
         stop = np.flatnonzero(inside & ~after) + 1
+        if not hashed:
+            parts.append((start + at, stop + at, np.zeros(len(start), U)))
+            at = end
+            continue
         power, inverse = _powers(len(low) + 1)
         with np.errstate(over="ignore"):
             total = np.empty(len(low) + 1, U)
