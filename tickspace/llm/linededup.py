@@ -248,34 +248,38 @@ def recurring(recs: DataFrame) -> DataFrame:
     return recs.groupBy("template").agg(F.sum("once").alias("docs"), F.min("id").alias("keeper"), F.max("need").alias("need")).where("docs >= need").select("template", "keeper")
 
 
-def _lost(r: Records | Places, lo: int, hi: int, base: int, gone: list | None) -> np.ndarray:
-    """Steps at the words lo..hi of one text, whose running sum is above zero
-    where a dropped record lies; ``base``: the text's first record."""
-    step = np.zeros(hi - lo + 1, np.int32)
-    if gone:
-        np.add.at(step, r.first[base + np.array([g["a"] for g in gone])] - lo, 1)
-        np.add.at(step, r.last[base + np.array([g["b"] for g in gone])] - lo, -1)
-    return step
+def _flat(lists: pa.ListArray, row: int, end: int) -> tuple[np.ndarray, slice]:
+    """Of the values of the lists row..end - 1: the list of each, and where they lie."""
+    off = lists.offsets.to_numpy()[row : end + 1]
+    return np.repeat(np.arange(end - row), np.diff(off)), slice(off[0], off[-1])
+
+
+def _lost(r: Records | Places, drops: pa.ListArray, row: int, end: int) -> np.ndarray:
+    """Steps at the words, whose running sum is above zero where a dropped
+    record lies; ``drops``: of each text, first and last record."""
+    text, mine = _flat(drops, row, end)
+    base, size = np.searchsorted(r.text, np.arange(end - row))[text], len(r.words.start) + 1
+    a, b = (drops.values.field(c).to_numpy()[mine] + base for c in ("a", "b"))
+    return np.bincount(r.first[a], minlength=size) - np.bincount(r.last[b], minlength=size)
 
 
 def _runs(run_tokens: int):
+    owned = lambda mark, text: mix(mark ^ mix(text.astype(U), 46), 47)
+
     def run(batches):
         for batch in batches:
-            shared, drops = batch.column(4), batch.column(5).to_pylist()
+            shared, drops = batch.column(4), batch.column(5)
             for row, end, data, off in chunks(batch.column(3)):
                 r = records(data, off)
                 w, first = r.words, r.words.first(end - row)
                 at, mark, of = _marks(w, run_tokens)
-                mark, text = mix(mark, 32).view(np.int64), w.text[at]
-                bounds, base = np.searchsorted(text, np.arange(end - row + 1)), np.searchsorted(r.text, np.arange(end - row))
-                hit = np.zeros(len(at), bool)
-                for i in range(end - row):
-                    mine = slice(bounds[i], bounds[i + 1])
-                    hit[mine] = np.isin(mark[mine], shared[row + i].values.to_numpy())
-                    if drops[row + i] and len(at[mine]):  # not where all words are gone already
-                        left = np.append(0, np.cumsum(np.cumsum(_lost(r, first[i], first[i + 1], base[i], drops[row + i])[:-1]) == 0))
-                        here = at[mine] - first[i]
-                        hit[mine] &= left[here + run_tokens] > left[here]
+                text = w.text[at]
+                new = np.ones(len(at), bool)
+                new[1:] = (mark[1:] != mark[:-1]) | (text[1:] != text[:-1])
+                holder, mine = _flat(shared, row, end)
+                hit = np.isin(owned(mix(mark[new], 32), text[new]), owned(shared.values.to_numpy()[mine].view(U), holder))[np.cumsum(new) - 1]
+                left = np.append(0, np.cumsum(np.cumsum(_lost(r, drops, row, end)[:-1]) == 0))
+                hit &= left[at + run_tokens] > left[at]  # not where all words are gone already
                 at, text = at[hit], text[hit]
                 key, mine = span(of, at, at + run_tokens, 33), pa.array(text + row)
                 yield pa.RecordBatch.from_arrays([*(batch.column(i).take(mine) for i in range(3)), pa.array(key.view(np.int64)), pa.array((at - first[text]).astype(np.int32))], ["uid", "id", "content", "run", "at"])
@@ -287,28 +291,25 @@ def _rebuild(at_text: int, n_columns: int, run_tokens: int):
     def run(batches):
         for batch in batches:
             old, out, lost, had = batch.column(at_text), [], [], []
-            drops, cuts = (batch.column(n_columns + i).to_pylist() for i in range(2))
+            drops, cuts = (batch.column(n_columns + i) for i in range(2))
             for row, end, data, off in chunks(old):
                 r = places(data, off)
                 w, first = r.words, r.words.first(end - row)
-                bounds = np.searchsorted(r.text, np.arange(end - row + 1))
+                step = _lost(r, drops, row, end)
+                text, mine = _flat(cuts, row, end)
+                begin = cuts.values.to_numpy()[mine] + first[text]
+                step += np.bincount(begin, minlength=len(step)) - np.bincount(begin + run_tokens, minlength=len(step))
+                keep = np.cumsum(step[:-1]) == 0
+                kept = np.append(0, np.cumsum(keep))
+                had.append(np.bincount(r.text, minlength=end - row))
+                lost.append(np.bincount(r.text[kept[r.last] == kept[r.first]], minlength=end - row))
+                whole = np.diff(kept[first]) == np.diff(first)
                 for i in range(end - row):
-                    had.append(int(bounds[i + 1] - bounds[i]))
-                    gone, runs = drops[row + i], cuts[row + i]
-                    if not gone and not runs:
+                    if whole[i]:
                         out.append(old[row + i].as_py())
-                        lost.append(0)
                         continue
                     lo, hi = first[i], first[i + 1]
-                    step = _lost(r, lo, hi, bounds[i], gone)
-                    if runs:
-                        np.add.at(step, np.array(runs), 1)
-                        np.add.at(step, np.array(runs) + run_tokens, -1)
-                    keep = np.cumsum(step[:-1]) == 0
-                    kept = np.append(0, np.cumsum(keep))
-                    mine = slice(bounds[i], bounds[i + 1])
-                    lost.append(int((kept[r.last[mine] - lo] == kept[r.first[mine] - lo]).sum()))
-                    edge = np.flatnonzero(np.diff(np.concatenate([[False], keep, [False]]).astype(np.int8)))
+                    edge = np.flatnonzero(np.diff(np.concatenate([[False], keep[lo:hi], [False]]).astype(np.int8)))
                     stop = np.append(w.start[lo + 1 : hi], off[i + 1])  # of each word with what follows it
                     pieces = []
                     for a, b in edge.reshape(-1, 2):
@@ -317,8 +318,9 @@ def _rebuild(at_text: int, n_columns: int, run_tokens: int):
                             pieces.append(b"\n")
                         pieces.append(data[begin : stop[b - 1]].tobytes())
                     out.append(b"".join(pieces).rstrip(b" \t\n\r\x0b\x0c").decode())
+            had, lost = (np.concatenate([np.zeros(0, np.int64), *x]).astype(np.int32) for x in (had, lost))
             cols = [pa.array(out, pa.string()) if i == at_text else c for i, c in enumerate(batch.columns[:n_columns])]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(had, pa.int32()), pa.array(lost, pa.int32())], schema=None, names=[f"c{i}" for i in range(len(cols) + 2)])
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(had), pa.array(lost)], schema=None, names=[f"c{i}" for i in range(len(cols) + 2)])
 
     return run
 
