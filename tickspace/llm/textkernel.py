@@ -65,9 +65,12 @@ def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
     """A bijection of 64-bit words that spreads every bit."""
     with np.errstate(over="ignore"):
         x = x + U((salt * 0xD1B54A32D192ED03 + 0x632BE59BD9B4E019) % (1 << 64))
-        x = (x ^ (x >> U(30))) * U(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> U(27))) * U(0x94D049BB133111EB)
-        return x ^ (x >> U(31))
+        x ^= x >> U(30)
+        x *= U(0xBF58476D1CE4E5B9)
+        x ^= x >> U(27)
+        x *= U(0x94D049BB133111EB)
+        x ^= x >> U(31)
+        return x
 
 
 def buffers(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
@@ -141,7 +144,7 @@ def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: t
             else:  # no blank near: go on to the next one
                 cut = np.flatnonzero(separators[data[end:]])
                 end = end + int(cut[0]) + 1 if len(cut) else n
-        low = LOWER[data[at:end]]
+        low = LOWER[data[at:end]] if hashed else data[at:end]
         inside = ~separators[low]
         edge = bounds[at:end]
         before = np.empty(len(low), bool)
@@ -160,7 +163,10 @@ def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: t
         with np.errstate(over="ignore"):
             total = np.empty(len(low) + 1, U)
             total[0] = 0
-            np.cumsum((low.astype(U) + U(1)) * power[: len(low)], out=total[1:])
+            value = low.astype(U)
+            value += U(1)
+            value *= power[: len(low)]
+            np.cumsum(value, out=total[1:])
             back, base = inverse[start], total[start]
             hashes = [mix((total[stop] - base) * back)]
             for k in prefixes:
@@ -168,7 +174,7 @@ def words(data: np.ndarray, off: np.ndarray, separators: np.ndarray, prefixes: t
         parts.append((start + at, stop + at, *hashes))
         at = end
     cols = [np.concatenate(c) for c in zip(*parts)] if parts else [np.zeros(0, np.int64)] * 2 + [np.zeros(0, U)] * (1 + len(prefixes))
-    text = np.searchsorted(off, cols[0], "right") - 1
+    text = np.repeat(np.arange(len(off) - 1), np.diff(np.searchsorted(cols[0], off)))
     out = Words(cols[0], cols[1], text, cols[2])
     return (out, cols[3:]) if prefixes else out
 
@@ -191,13 +197,21 @@ def grams(h: np.ndarray, k: int) -> np.ndarray:
 _ODD, _ODD_INV = 0xD6E8FEB86659FD93, pow(0xD6E8FEB86659FD93, -1, 1 << 64)
 
 
+def _odd_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    power, back = np.full(n, _ODD, U), np.full(n + 1, _ODD_INV, U)
+    return np.cumprod(power, dtype=U), np.cumprod(back, dtype=U)
+
+
+_odd = _odd_powers(BLOCK)
+
+
 def sums(values: np.ndarray, like: tuple | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Running polynomial sum, the inverse powers and the powers, for hashes of
     any span; ``like``: sums of as many values, whose powers are taken over."""
     m = len(values)
     with np.errstate(over="ignore"):
-        power = np.cumprod(np.full(m, _ODD, U), dtype=U) if like is None else like[2]
-        back = np.cumprod(np.full(m + 1, _ODD_INV, U), dtype=U) if like is None else like[1]
+        power, back = (like[2], like[1]) if like is not None else _odd if m <= BLOCK else _odd_powers(m)
+        power, back = power[:m], back[: m + 1]
         total = np.zeros(m + 1, U)
         np.cumsum(values * power, out=total[1:])
     return total, back, power
