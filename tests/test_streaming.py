@@ -51,6 +51,16 @@ def test_late_rows_are_dropped_in_append_mode(spark, tmp_path):
     assert [n for _, n in rows(run())] == [2, 2]
 
 
+def test_updates_equal_the_complete_table(spark, tmp_path):
+    for i, minutes in enumerate([[0, 10, 61], [2, 62, 125], [126]]):
+        put(spark, tmp_path / "in", minutes, first=10 * i)
+    got = st.drain(st.tumbling(source(spark, tmp_path / "in"), late="1 day"), "update", str(tmp_path / "run"), ("start",))
+    assert got.columns == ["start", "n"]
+    assert rows(got) == rows(st.tumbling(spark.read.parquet(str(tmp_path / "in"))))
+    with pytest.raises(ValueError):
+        st.drain(st.tumbling(source(spark, tmp_path / "in")), "update", str(tmp_path / "other"))
+
+
 def test_empty_stream(spark, tmp_path):
     put(spark, tmp_path / "in", [])
     assert rows(st.drain(st.tumbling(source(spark, tmp_path / "in")), path=str(tmp_path / "run"))) == []

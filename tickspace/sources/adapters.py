@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.exact import noise
+
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -80,6 +82,36 @@ def doc_agents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read(spark, sf_dir, "documents").select("doc_id", "n_chars", "lang", "source").join(labels, "doc_id", "left").select(F.col("doc_id").alias("id"), F.col("n_chars").alias("x"), "lang", "source", "quality", "toxic")
 
 
+def scenario(spark: SparkSession, path: str, columns: list[str], fmt: str = "csv") -> DataFrame:
+    """An extent from CSV files with a header, or JSON lines: the class's
+    columns, all integers.  No type is inferred; a value of another type fails
+    the read.  CSV names and their order must match; a name missing in a JSON
+    line is null, one too many there is left out."""
+    if fmt not in ("csv", "json"):
+        raise ValueError(f"scenario files are csv or json, not {fmt}")
+    named = {"header": "true", "enforceSchema": "false"} if fmt == "csv" else {}
+    return spark.read.format(fmt).schema(", ".join(f"{c} bigint" for c in columns)).options(mode="FAILFAST", **named).load(path)
+
+
+def synthetic(spark: SparkSession, n: int, spans: dict[str, tuple[int, int]], seed: int = 7, parts: int | None = None) -> DataFrame:
+    """``n`` agents with ids from 0, each column drawn from its span (low, high
+    exclusive).  A draw depends on id, column and seed only, so the extent is the
+    same for any number of parts, and nothing is held or moved to make it."""
+    for c, (low, high) in spans.items():
+        if high <= low:
+            raise ValueError(f"empty span of {c}: {low}, {high}")
+    draws = [F.expr(f"CAST({low} + ({noise('id', 0, i, seed)}) % {high - low} AS BIGINT)").alias(c) for i, (c, (low, high)) in enumerate(spans.items())]
+    return spark.range(0, n, 1, parts).select("id", *draws)
+
+
+def save_bucketed(agents: DataFrame, name: str, by: str = "id", buckets: int = 64, path: str | None = None) -> DataFrame:
+    """``agents`` as a table of the catalogue, dealt and sorted by ``by``: joins
+    and groups by it with tables of as many buckets need no exchange."""
+    dealt = agents.repartition(buckets, by).write.mode("overwrite").format("parquet").bucketBy(buckets, by).sortBy(by)
+    (dealt.option("path", path) if path else dealt).saveAsTable(name)
+    return agents.sparkSession.table(name)
+
+
 #: the same projections for DuckDB, written by hand
 ORACLE = {
     "fish": "SELECT CAST(event_id AS BIGINT) AS id, CAST(floor(date_diff('microsecond', TIMESTAMP '2024-01-01', ts) / 26000000.0::DOUBLE) AS BIGINT) AS x, CAST(floor(value * 100 + 0.5::DOUBLE) AS BIGINT) AS y, CAST(user_id % 21 - 10 AS BIGINT) AS vx, CAST(user_id % 17 - 8 AS BIGINT) AS vy, CAST(user_id % 20 AS BIGINT) AS informed FROM events",

@@ -10,12 +10,14 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators import runtime
 from ..plans.agents import AgentClass
 from ..sources.adapters import read, read_stream
 
 LATE = "1 hour"
+_BATCH = "batch"  #: folders of a drained stream's rows
 
 
 def sightings(spark: SparkSession, sf_dir: str, stream: bool = False, files: int = 1) -> DataFrame:
@@ -61,17 +63,20 @@ def meetings(left: DataFrame, right: DataFrame, apart: str = "5 minutes", late:
     return a.join(b, (F.col("kind") == F.col("b_kind")) & (F.col("a_user") != F.col("b_user")) & (F.col("b_ts") >= F.col("a_ts")) & (F.col("b_ts") <= F.col("a_ts") + F.expr(f"INTERVAL {apart}"))).select("a_id", "b_id")
 
 
-def drain(stream: DataFrame, mode: str = "complete", path: str | None = None) -> DataFrame:
+def drain(stream: DataFrame, mode: str = "complete", path: str | None = None, keys: tuple[str, ...] = ()) -> DataFrame:
     """Run a stream over all that is there now; its result as a table.
 
-    ``complete``: the last batch's table; ``append``: all batches' rows.  Each
+    ``complete``: the last batch's table; ``append``: all batches' rows;
+    ``update``: of each of ``keys`` the row of the last batch that changed it.  Each
     batch is written under its id, so a batch repeated after a failure replaces
     itself; ``path`` with an earlier run's state continues that run."""
     spark = stream.sparkSession
+    if mode == "update" and (not keys or _BATCH in stream.columns):
+        raise ValueError(f"updates need the keys that they replace, and no column {_BATCH}")
     path = path or f"{runtime.checkpoint_dir(spark)}/stream-{uuid.uuid4().hex}"
 
     def put(rows: DataFrame, batch: int) -> None:
-        rows.write.mode("overwrite").parquet(f"{path}/rows/batch={batch}")
+        rows.write.mode("overwrite").parquet(f"{path}/rows/{_BATCH}={batch}")
 
     stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/state").foreachBatch(put).trigger(availableNow=True).start().awaitTermination()
     jvm = spark._jvm
@@ -80,8 +85,13 @@ def drain(stream: DataFrame, mode: str = "complete", path: str | None = None) ->
     batches = sorted(int(s.getPath().getName().split("=")[1]) for s in fs.listStatus(root)) if fs.exists(root) else []
     if not batches:
         return spark.createDataFrame([], stream.schema)
+    if mode == "update":
+        rest = [c for c in stream.columns if c not in keys]
+        every = spark.read.schema(T.StructType([*stream.schema.fields, T.StructField(_BATCH, T.LongType())])).parquet(f"{path}/rows")
+        last = every.groupBy(*keys).agg(F.max_by(F.struct(F.lit(0).alias(_BATCH), *rest), _BATCH).alias("_last"))
+        return last.select(*[F.col(c) if c in keys else F.col(f"_last.`{c}`") for c in stream.columns])
     wanted = batches[-1:] if mode == "complete" else batches
-    return spark.read.schema(stream.schema).parquet(*[f"{path}/rows/batch={b}" for b in wanted])
+    return spark.read.schema(stream.schema).parquet(*[f"{path}/rows/{_BATCH}={b}" for b in wanted])
 
 
 def stream_epochs(observed: DataFrame, name: str, classes: dict[str, AgentClass], path: str, epoch_len: int = 1) -> tuple[runtime.World, int] | None:
