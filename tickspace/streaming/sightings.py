@@ -60,7 +60,11 @@ def meetings(left: DataFrame, right: DataFrame, apart: str = "5 minutes", late:
     ``apart`` after a: a join whose state both watermarks bound."""
     a = left.select(F.col("event_id").alias("a_id"), F.col("ts").alias("a_ts"), F.col("user_id").alias("a_user"), F.col("event_type").alias("kind")).withWatermark("a_ts", late)
     b = right.select(F.col("event_id").alias("b_id"), F.col("ts").alias("b_ts"), F.col("user_id").alias("b_user"), F.col("event_type").alias("b_kind")).withWatermark("b_ts", late)
-    return a.join(b, (F.col("kind") == F.col("b_kind")) & (F.col("a_user") != F.col("b_user")) & (F.col("b_ts") >= F.col("a_ts")) & (F.col("b_ts") <= F.col("a_ts") + F.expr(f"INTERVAL {apart}"))).select("a_id", "b_id")
+    # both meet in slots of time as long as ``apart``: a's own one and the next
+    slot = lambda c: F.floor(F.unix_micros(c) / F.expr(f"unix_micros(timestamp_seconds(0) + INTERVAL {apart})")).cast("bigint")
+    a = a.withColumn("slot", F.explode(F.sequence(slot(F.col("a_ts")), slot(F.col("a_ts")) + 1)))
+    b = b.withColumn("b_slot", slot(F.col("b_ts")))
+    return a.join(b, (F.col("slot") == F.col("b_slot")) & (F.col("kind") == F.col("b_kind")) & (F.col("a_user") != F.col("b_user")) & (F.col("b_ts") >= F.col("a_ts")) & (F.col("b_ts") <= F.col("a_ts") + F.expr(f"INTERVAL {apart}"))).select("a_id", "b_id")
 
 
 def drain(stream: DataFrame, mode: str = "complete", path: str | None = None, keys: tuple[str, ...] = ()) -> DataFrame:
